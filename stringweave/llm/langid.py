@@ -38,13 +38,12 @@ def training_windows(df: DataFrame, text: str = "text", lang: str = "lang", doc_
     body = F.col(text).cast("binary")
     size = F.octet_length(F.col(text))
     cuts = [F.substring(body, (1 + F.greatest(F.lit(0), size - WINDOW) * i / max(1, WINDOWS_PER_DOC - 1)).cast("int"), WINDOW) for i in range(WINDOWS_PER_DOC)]
-    rows = (
-        df.where(~held_out(doc_id) & F.col(lang).isNotNull() & (size > 0))
-        .select(F.xxhash64(doc_id).alias("h"), F.col(doc_id).alias("id"), F.col(lang).alias("lang"), F.array(*cuts).alias("cuts"))
-        .orderBy("h", "id")
-        .limit(n)
-        .collect()
-    )
+    able = df.where(~held_out(doc_id) & F.col(lang).isNotNull() & (size > 0)).withColumn("h", F.xxhash64(doc_id))
+    # twice as many as needed by a bound on the hash, so that tasks send the driver no more as the corpus grows
+    limit = able.select("h").count() / (2 * n)
+    if limit > 1:
+        able = able.where(F.col("h") < int(-(2.0**63) + 2.0**64 / limit))
+    rows = able.select("h", F.col(doc_id).alias("id"), F.col(lang).alias("lang"), F.array(*cuts).alias("cuts")).orderBy("h", "id").limit(n).collect()
     found, labels = [], []
     for r in rows:
         for c in dict.fromkeys(map(bytes, r.cuts)):
