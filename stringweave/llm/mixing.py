@@ -12,8 +12,8 @@ over the few buckets, plus a running sum inside one bucket: no task holds a sour
 The global order is cut in the same way by ranges of finish time.
 
 A null text has size 0 and is never taken; a null source comes last and has a weight
-like any other; documents of null id share one place in the order.  Repeated rows are
-documents of their own.  An empty table gives an empty mix.
+like any other; documents of one id, or of none, share one place
+in the order and are taken or left together.  Repeated rows keep their number.  An empty table gives an empty mix.
 """
 
 from __future__ import annotations
@@ -26,8 +26,10 @@ from stringweave.session import Scratch
 
 WEIGHTS = (1, 2, 3)
 MAX_REPEATS = 3
-#: Servings per bucket of the shuffled order and per range of finish times, on average.
-BUCKET_ROWS = 4096
+#: Rows per bucket of the shuffled order and per range of finish times, on average, until
+#: there are MAX_BUCKETS of them; tables by bucket stay small enough to be summed up per source.
+BUCKET_ROWS = 512
+MAX_BUCKETS = 1 << 16
 HASH_BITS = 60
 
 
@@ -57,20 +59,16 @@ def targets(sources: DataFrame) -> DataFrame:
     return t.select("source", "source_size", "rank", "weight", F.when(F.col("stops"), F.col("cap").cast("double")).otherwise(share).alias("target"))
 
 
-def mix(df: DataFrame, text: str = "text", doc_id: str = "doc_id", source: str = "source", seed: int = 7) -> DataFrame:
-    """``(doc_id, source, size, source_size, target, finish, taken)``, a row per document.
-
-    ``finish`` is the first serving's virtual finish time (null for a source without
-    words); ``taken`` is the size times the servings inside the mix.
-    """
+def _serve(df: DataFrame, text: str, doc_id: str, source: str, seed: int) -> tuple[Scratch, DataFrame, Column, int]:
+    """Every document's running total in its source, the place where the mix ends, and the ranges."""
     spark = df.sparkSession
     store = Scratch(spark, "mixing")
     sized = store.keep(
         df.select(F.col(doc_id).alias("doc_id"), F.col(source).alias("source"), word_count(F.col(text)).alias("size")).withColumn("h", shuffled(F.col("doc_id"), seed))
     )
     n = sized.count()
-    bits = min(30, (n // BUCKET_ROWS).bit_length())
-    bucketed = sized.withColumn("bucket", F.shiftright("h", HASH_BITS - bits))
+    buckets = min(MAX_BUCKETS, max(16, n // BUCKET_ROWS))
+    bucketed = sized.withColumn("bucket", F.shiftright("h", HASH_BITS - (buckets - 1).bit_length()))
     per_bucket = store.keep(bucketed.groupBy("source", "bucket").agg(F.sum("size").alias("in_bucket")))
     goals = store.keep(targets(per_bucket.groupBy("source").agg(F.sum("in_bucket").alias("source_size"))))
     earlier = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
@@ -79,19 +77,45 @@ def mix(df: DataFrame, text: str = "text", doc_id: str = "doc_id", source: str =
         .join(goals, per_bucket["source"].eqNullSafe(goals["source"]))
         .select(per_bucket["source"].alias("src"), F.col("bucket").alias("bkt"), "before", "source_size", "rank", "target")
     )
-    inside = Window.partitionBy("rank", "bucket").orderBy("h", "doc_id", "size").rowsBetween(Window.unboundedPreceding, 0)
+    inside = Window.partitionBy("rank", "bucket").orderBy(F.struct("h", "doc_id")).rangeBetween(Window.unboundedPreceding, Window.currentRow)
     lined = bucketed.join(starts, bucketed["source"].eqNullSafe(starts["src"]) & (bucketed["bucket"] == starts["bkt"]))
     served = store.keep(
         lined.withColumn("upto", F.col("before") + F.sum("size").over(inside)).select("doc_id", "source", "size", "rank", "h", "upto", "source_size", "target")
     )
-    cut = _cut(served, max(16, n // BUCKET_ROWS))
-    taken = sum(F.when(_key(F.lit(r), max(16, n // BUCKET_ROWS)) <= cut, 1).otherwise(0) for r in range(MAX_REPEATS))
+    return store, served, _cut(served, buckets), buckets
+
+
+def mix(df: DataFrame, text: str = "text", doc_id: str = "doc_id", source: str = "source", seed: int = 7) -> DataFrame:
+    """``(doc_id, source, size, source_size, target, finish, taken)``, a row per document.
+
+    ``finish`` is the first serving's virtual finish time (null for a source without
+    words); ``taken`` is the size times the servings inside the mix.
+    """
+    _, served, cut, buckets = _serve(df, text, doc_id, source, seed)
+    taken = sum(F.when(_key(F.lit(r), buckets) <= cut, 1).otherwise(0) for r in range(MAX_REPEATS))
     return served.select(
         "doc_id", "source", "size", "source_size", "target", F.when(F.col("target") > 0, _finish(F.lit(0))).alias("finish"),
         F.when((F.col("size") > 0) & (F.col("target") > 0), F.col("size") * taken).otherwise(0).cast("long").alias("taken"),
     )
 
 
+def mixed(df: DataFrame, text: str = "text", doc_id: str = "doc_id", source: str = "source", seed: int = 7) -> DataFrame:
+    """The rows of ``df`` as the mix serves them: those not taken go, those served again repeat.
+
+    Within a source and a turn the finish time follows the shuffled order, so the mix takes a
+    beginning of it.  Its end, per source and turn, is all that the rows need to be told: a
+    table of a row per source, and no text is moved.
+    """
+    store, served, cut, buckets = _serve(df, text, doc_id, source, seed)
+    inside = lambda r: F.when((F.col("size") > 0) & (F.col("target") > 0) & (_key(F.lit(r), buckets) <= cut), F.struct("h", "doc_id"))
+    ends = store.keep(served.groupBy(F.col("source").alias("__source")).agg(*[F.max(inside(r)).alias(f"__end{r}") for r in range(MAX_REPEATS)]))
+    rows = df.where(F.coalesce(F.col(f"`{text}`").rlike(r"[^\x20\x09-\x0D]"), F.lit(False)))
+    place = F.struct(shuffled(F.col(doc_id), seed).alias("h"), F.col(doc_id).alias("doc_id"))
+    times = sum(F.when(place <= F.col(f"__end{r}"), 1).otherwise(0) for r in range(MAX_REPEATS))
+    out = rows.join(ends, rows[source].eqNullSafe(ends["__source"])).withColumn("__times", times).where("__times > 0")
+    return out.withColumn("__turn", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*[F.col(f"`{c}`") for c in df.columns])
+
+
 def shuffled(doc_id: Column, seed: int) -> Column:
     """The place of an id in the shuffled order: HASH_BITS bits of a digest."""
     named = F.concat(F.coalesce(doc_id.cast("string"), F.lit("")), F.lit(f":{seed}"))
@@ -99,13 +123,13 @@ def shuffled(doc_id: Column, seed: int) -> Column:
 
 
 def _finish(turn: Column) -> Column:
-    return (F.col("upto") + turn * F.col("source_size")) / F.col("target")
+    return F.try_divide(F.col("upto") + turn * F.col("source_size"), F.col("target"))
 
 
 def _key(turn: Column, ranges: int) -> Column:
     """The place of a serving in the global order; its first part is the range of its finish time."""
     f = _finish(turn)
-    return F.struct(F.floor(f * ranges).alias("cell"), f.alias("finish"), F.col("rank"), F.col("h"), F.col("doc_id"), F.col("size"))
+    return F.struct(F.floor(f * ranges).alias("cell"), f.alias("finish"), F.col("rank"), F.col("h"), F.col("doc_id"))
 
 
 def _cut(served: DataFrame, ranges: int) -> Column:
@@ -116,22 +140,14 @@ def _cut(served: DataFrame, ranges: int) -> Column:
     over = Window.partitionBy(F.lit(1)).orderBy("cell").rowsBetween(Window.unboundedPreceding, 0)
     full = cells.withColumn("upto_cell", F.sum("in_cell").over(over)).where(F.col("upto_cell") > budget).orderBy("cell").first()
     kind = served.schema["doc_id"].dataType
-    place = lambda cell, finish, rank=None, h=None, doc_id=None, size=None: F.struct(
-        F.lit(cell).cast("long"), F.lit(finish).cast("double"), F.lit(rank).cast("long"), F.lit(h).cast("long"), F.lit(doc_id).cast(kind), F.lit(size).cast("long")
+    place = lambda cell, finish, rank=None, h=None, doc_id=None: F.struct(
+        F.lit(cell).cast("long"), F.lit(finish).cast("double"), F.lit(rank).cast("long"), F.lit(h).cast("long"), F.lit(doc_id).cast(kind)
     )
     if full is None:
         return place((1 << 63) - 1, float("inf"))
     before = full.upto_cell - full.in_cell
     key = _key(F.col("turn"), ranges)
-    order = Window.partitionBy(F.lit(1)).orderBy("k").rowsBetween(Window.unboundedPreceding, 0)
+    order = Window.partitionBy(F.lit(1)).orderBy("k").rangeBetween(Window.unboundedPreceding, Window.currentRow)
     edge = turns.select(key.alias("k"), "size").where(F.col("k.cell") == full.cell)
     last = edge.withColumn("total", F.lit(before) + F.sum("size").over(order)).where(F.col("total") <= budget).agg(F.max("k")).first()[0]
     return place(full.cell - 1, float("inf")) if last is None else place(*last)
-
-
-def mixed(df: DataFrame, text: str = "text", doc_id: str = "doc_id", source: str = "source") -> DataFrame:
-    """The rows of ``df`` as the mix serves them: those not taken go, those served again repeat."""
-    got = mix(df, text, doc_id, source).where("taken > 0").select(F.col("doc_id").alias("__id"), F.expr("cast(taken div size as int)").alias("__times"))
-    times = got.groupBy("__id").agg(F.max("__times").alias("__times"))
-    out = df.join(times, df[doc_id].eqNullSafe(times["__id"]))
-    return out.withColumn("__turn", F.explode(F.sequence(F.lit(1), F.col("__times")))).select(*df.columns)

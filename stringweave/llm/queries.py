@@ -157,11 +157,11 @@ t as (
     else (weight * (budget - coalesce(sum(case when stops then cap end) over (), 0)))::double / (sum(case when not stops then weight end) over ())::double end as target from g),
 o as (
   select d.doc_id, d.size, d.h, t.source_size, t.rank, t.target, t.budget, row_number() over () as n,
-    (sum(d.size) over (partition by t.rank order by d.h, d.doc_id, d.size rows unbounded preceding))::bigint as upto
+    (sum(d.size) over (partition by t.rank order by d.h, d.doc_id nulls first))::bigint as upto
   from d join t on d.source is not distinct from t.source),
 x as (
   select o.*, (upto + turn * source_size)::double / target as finish from o, (select unnest([0, 1, 2]) as turn) where size > 0 and target > 0),
-c as (select n, size, budget, sum(size) over (order by finish, rank, h, doc_id, size rows unbounded preceding) as total from x),
+c as (select n, size, budget, sum(size) over (order by finish, rank, h, doc_id nulls first) as total from x),
 y as (select n, sum(size)::bigint as taken from c where total <= budget group by n)
 select doc_id, size, source_size, target, coalesce(taken, 0)::bigint as taken from o left join y using (n)""",
 }
