@@ -18,6 +18,7 @@ import hashlib
 import json
 import tempfile
 from collections.abc import Iterator
+from heapq import heapify, heappop, heappush
 from itertools import chain
 
 import numpy as np
@@ -29,6 +30,9 @@ from stringweave.llm._common import fields, per_text
 
 #: Words compiled into the lexicon at most; the rest is merged when met.
 LEXICON_WORDS = 1 << 15
+PER_DOCS = 2000
+#: Bytes from which a word is merged with a heap.
+LONG_WORD = 200
 #: Different words whose ids a worker remembers.
 MEMO_WORDS = 400_000
 
@@ -66,6 +70,8 @@ class Vocabulary:
 
     def merge(self, word: bytes) -> tuple[int, ...]:
         """Ids of one word: the neighbours of the best rank are joined, leftmost first, until none can be."""
+        if len(word) > LONG_WORD:
+            return self._merge_long(word)
         ids, get, none = [self.single[b] for b in word], self.ranks.get, len(self.joined)
         ranks = [get(a << 20 | b, none) for a, b in zip(ids, ids[1:])]
         while ranks and (best := min(ranks)) < none:
@@ -79,6 +85,28 @@ class Vocabulary:
         return tuple(ids)
 
 
+    def _merge_long(self, word: bytes) -> tuple[int, ...]:
+        """The same over a linked list and a heap: n log n steps for a word of n bytes."""
+        ids, get, n = [self.single[b] for b in word], self.ranks.get, len(word)
+        left, right = list(range(-1, n - 1)), list(range(1, n + 1))
+        heap = [(r, i, a, b) for i, (a, b) in enumerate(zip(ids, ids[1:])) if (r := get(a << 20 | b)) is not None]
+        heapify(heap)
+        while heap:
+            rank, i, a, b = heappop(heap)
+            j = right[i]
+            if ids[i] != a or j >= n or ids[j] != b:
+                continue
+            ids[i], ids[j] = self.joined[rank], -1
+            right[i] = k = right[j]
+            if k < n:
+                left[k] = i
+                if (r := get(ids[i] << 20 | ids[k])) is not None:
+                    heappush(heap, (r, i, ids[i], ids[k]))
+            if (h := left[i]) >= 0 and (r := get(ids[h] << 20 | ids[i])) is not None:
+                heappush(heap, (r, h, ids[h], ids[i]))
+        return tuple(x for x in ids if x >= 0)
+
+
 class Lexicon:
     """The transducer as flat arrays; see ``build``, ``dump`` and ``load``."""
 
@@ -235,9 +263,14 @@ class Encoder:
 
 
 def frequent_words(df: DataFrame, text: str = "text", n: int = LEXICON_WORDS) -> list[str]:
-    """The ``n`` most frequent runs between spaces of the whole corpus, ties by code point."""
+    """The most frequent runs between spaces of the whole corpus, ``n`` at most, ties by code point.
+
+    A frequent word occurs once in PER_DOCS documents on average, so the words that compete
+    are at most PER_DOCS times the mean words of a document, however large the corpus.
+    """
+    least = max(2, df.count() // PER_DOCS)
     words = df.select(F.explode(F.split(F.col(f"`{text}`"), " ", -1)).alias("w")).where("w <> ''")
-    top = words.groupBy("w").count().orderBy(F.desc("count"), "w").limit(n)
+    top = words.groupBy("w").count().where(F.col("count") >= least).orderBy(F.desc("count"), "w").limit(n)
     return [r.w for r in top.collect()]
 
 

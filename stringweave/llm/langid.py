@@ -140,7 +140,7 @@ class Scorer:
         ends = np.cumsum(count)[count > 0] - 1
         sizes = np.array([len(t) for t in texts if t], np.int64)
         weight[ends] = sizes - (count[count > 0] - 1) * WINDOW
-        total = np.stack([np.bincount(owner, probs[:, k] * weight, len(texts)) for k in range(len(self.classes))], axis=1)
+        total = np.stack([np.bincount(owner, probs[:, k] * weight, len(texts)).astype(float) for k in range(len(self.classes))], axis=1)
         total /= np.maximum(1, np.bincount(owner, weight, len(texts)))[:, None]
         best, score = total.argmax(axis=1), np.clip(total.max(axis=1), 0, 1)
         langs = []

@@ -2,8 +2,8 @@
 
 The kernel compares two words by the subsequences of three and four letters they
 share.  A subsequence may skip letters inside a span of five, at a discount per
-skipped letter, so inserted or dropped letters cost little; runs of single letters
-set apart by blanks are read as one more word.  Landmarks are words that stand out in
+skipped letter, so inserted or dropped letters cost little; marks between letters are
+left out, and runs of single letters set apart by blanks are read as one more word.  Landmarks are words that stand out in
 labelled toxic documents, and words of clean ones.  An L2 support vector machine is
 fitted in the Nystroem space of the landmarks by finite Newton steps, with the
 multiple-instance rule that a toxic document has some toxic word and a clean one has
@@ -38,7 +38,6 @@ THRESHOLD = 0.7
 TRAIN_TOXIC = 800
 TRAIN_CLEAN = 1600
 ROUNDS = 4
-_EDGES = ".,;:!?\"'()[]{}#*$%&|<>-_"
 _SHAPES = [(0, *c) for size in (2, 3) for c in combinations(range(1, SPAN), size)]
 
 
@@ -60,7 +59,7 @@ def pieces(text: bytes | None) -> list[str]:
 
 def subsequences(words: list[str]) -> tuple[np.ndarray, np.ndarray, list[tuple[np.ndarray, np.ndarray, float]]]:
     """For words: the word of each position, each word's scale, and per shape (positions, buckets, weight)."""
-    words = ["\x02" + (w.strip(_EDGES) or w)[:400] + "\x03" for w in words]
+    words = ["\x02" + (w if w.isalnum() else "".join(filter(str.isalnum, w)) or w) + "\x03" for w in words]
     size = np.fromiter(map(len, words), np.int64, len(words))
     codes = np.frombuffer("".join(words).encode("utf-32-le", "replace"), np.uint32).astype(np.uint64)
     ends = np.cumsum(size)
