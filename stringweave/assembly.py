@@ -6,6 +6,7 @@ import time
 from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from stringweave.operators import contigs, overlap
 from stringweave.session import Scratch
@@ -86,3 +87,17 @@ def assemble(reads: DataFrame, p: Profile | None = None) -> Assembly:
     out = store.keep(contigs.generate_contigs(s, reads, p.owners, p.branch, p.components, p.weight, p.ordered, p.cycle, p.strict))
     seconds["ExtractContig"] = time.time() - began
     return Assembly(out, s, aln, seconds)
+
+
+def second_round(contig_sets: list[DataFrame], p: Profile | None = None) -> Assembly:
+    """Contigs of earlier runs as the reads of another one.
+
+    Contigs of fewer bases than the profile's k stay out; ids are new, in the order of the runs and of
+    the contigs' own ids.  Contigs that meet no other give no contig, as single reads give none.
+    """
+    p = p or Profile.low_error()
+    parts = [c.select((F.col("contig_id") * len(contig_sets) + i).alias("read_id"), "seq", F.length("seq").alias("len")) for i, c in enumerate(contig_sets)]
+    reads = parts[0]
+    for more in parts[1:]:
+        reads = reads.unionByName(more)
+    return assemble(reads.where(F.col("len") >= p.k), p)

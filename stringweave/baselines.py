@@ -72,17 +72,19 @@ def remote_walk(l: DataFrame) -> DataFrame:
 
 def all_pairs(reads: DataFrame, k: int) -> DataFrame:
     """Pairs of reads that share a word of ``k`` bases on either strand, every pair compared.  For small inputs only."""
-    r = reads.select("read_id", "seq")
-    a, b = r.toDF("u", "su"), r.toDF("v", "sv")
-    words = lambda c: F.transform(F.sequence(F.lit(1), F.length(c) - k + 1), lambda i: F.substring(F.col(c), i, F.lit(k)))
-    j = a.join(b, F.col("u") < F.col("v"))
-    return j.where(F.arrays_overlap(words("su"), words("sv")) | F.arrays_overlap(words("su"), F.transform(words("sv"), revcomp_col))).select("u", "v")
+    word = lambda i: F.substring(F.col("seq"), i, F.lit(k))
+    both = lambda w: F.least(w, revcomp_col(w))
+    words = F.array_distinct(F.transform(F.sequence(F.lit(1), F.length("seq") - k + 1), lambda i: both(word(i))))
+    r = reads.where(F.length("seq") >= k).select("read_id", words.alias("words"))
+    r = Scratch(reads.sparkSession, "all-pairs").keep(r)
+    j = r.toDF("u", "wu").join(r.toDF("v", "wv"), F.col("u") < F.col("v"))
+    return j.where(F.arrays_overlap("wu", "wv")).select("u", "v")
 
 
 def single_node(reads: list[tuple[int, str]], min_overlap: int, corrected: bool = False, budget_s: float | None = None) -> list[str]:
     """A greedy assembler in one process: longest exact overlaps are merged first.
 
-    ``corrected`` first replaces bases of which no other read has the surrounding word.  Returns None-free
+    ``corrected`` first replaces a base if no other read has any of the words around it and the new one makes all of them known.  Returns None-free
     contigs; with ``budget_s`` it stops where time is up and returns what it has.
     """
     began = time.time()
@@ -96,13 +98,15 @@ def single_node(reads: list[tuple[int, str]], min_overlap: int, corrected: bool
                 count[min(w, revcomp(w))] += 1
         good = lambda w: count.get(min(w, revcomp(w)), 0) > 1
         for r, s in seqs.items():
-            for i in range(len(s) - k + 1):
-                if not good(s[i : i + k]):
-                    for b in "ACGT":
-                        t = s[: i + k - 1] + b + s[i + k :]
-                        if good(t[i : i + k]):
-                            s = t
-                            break
+            weak = [not good(s[i : i + k]) for i in range(len(s) - k + 1)]
+            for at in range(k - 1, len(s) - k + 1):  # bases that k words cover; nearer the ends too few words tell
+                if not all(weak[at - k + 1 : at + 1]):
+                    continue
+                for b in "ACGT":
+                    t = s[:at] + b + s[at + 1 :]
+                    if all(good(t[i : i + k]) for i in range(at - k + 1, at + 1)):
+                        s, weak[at - k + 1 : at + 1] = t, [False] * k
+                        break
             seqs[r] = s
             if budget_s and time.time() - began > budget_s:
                 break

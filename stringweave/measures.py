@@ -36,6 +36,37 @@ def misassembled(intervals: DataFrame, gap: int = 0) -> DataFrame:
     return intervals.withColumn("bad", F.coalesce(bad, F.lit(False))).groupBy("contig_id").agg(F.bool_or("bad").alias("bad")).where("bad").select("contig_id")
 
 
+def placed(contigs: DataFrame, genomes: DataFrame, k: int = 31) -> DataFrame:
+    """Where contigs lie in a reference, without truth: ``(contig_id, chrom, start, end, rev)``.
+
+    The first k-mer of either strand brings a contig to its places, the whole string decides.  Contigs
+    that lie nowhere whole have no row; those of below k bases are left out.
+    """
+    from stringweave.functions.dna import pack, revcomp
+    from stringweave.operators.overlap import kmers
+
+    c = contigs.where(F.length("seq") >= k).select("contig_id", "seq")
+    c = c.select("contig_id", F.lit(False).alias("rev"), "seq").unionByName(c.select("contig_id", F.lit(True).alias("rev"), revcomp("seq").alias("seq")))
+    c = c.withColumn("kmer", pack(F.substring("seq", 1, k)))
+    at = kmers(genomes.select(F.col("chrom").alias("read_id"), "seq"), k, both_strands=False).select(F.col("read_id").alias("chrom"), F.col("pos").alias("start"), "kmer")
+    hit = c.join(at, "kmer").drop("kmer").join(genomes.select("chrom", F.col("seq").alias("ref")), "chrom")
+    same = F.substring(F.col("ref"), F.col("start") + 1, F.length("seq")) == F.col("seq")
+    return hit.where(same).select("contig_id", "chrom", "start", (F.col("start") + F.length("seq")).alias("end"), "rev")
+
+
+def identity(a, b):
+    """Share of equal bases by edit distance, over the longer of two sequences; null where both are empty."""
+    return F.try_divide(F.lit(1.0) * (F.greatest(F.length(a), F.length(b)) - F.levenshtein(a, b)), F.greatest(F.length(a), F.length(b)))
+
+
+def reference_quality(contigs: DataFrame, genomes: DataFrame) -> DataFrame:
+    """Completeness, longest contig, contigs and misassembled contigs of error-free contigs, by their strings alone."""
+    p = placed(contigs, genomes)
+    lost = contigs.join(p.select("contig_id").distinct(), "contig_id", "left_anti").agg(F.count("*").alias("misassembled"))
+    main = contigs.agg(F.max(F.length("seq")).cast("long").alias("longest"), F.count("*").alias("contigs"))
+    return completeness(p, genomes).join(main, F.lit(True)).join(lost, F.lit(True))
+
+
 def coverage_profile(intervals: DataFrame, bin_size: int) -> DataFrame:
     """Reads that touch each bin of each chromosome; the coefficient of variation tells uniformity."""
     bins = F.sequence(F.expr(f"start div {bin_size}"), F.expr(f"(end - 1) div {bin_size}"))

@@ -63,18 +63,43 @@ def _smallest(labels: DataFrame) -> DataFrame:
     return labels.join(least, "root").select("v", "contig_id")
 
 
+def _stars(l: DataFrame, store: Scratch, trace: list | None) -> DataFrame:
+    """Large-star and small-star by turns on edges ``(u, v)`` with u > v, until the edges stay as they are."""
+    now = store.keep(l.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct())
+    mark = lambda df: df.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
+    seen = mark(now)
+    while True:
+        both = both_ways(now)
+        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+        large = store.keep(both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct())
+        low = large.groupBy("u").agg(F.min("v").alias("m"))
+        near = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        then = store.keep(near.unionByName(low.select("u", F.col("m").alias("v"))).distinct())
+        store.drop(large)
+        store.drop(now)
+        now, before, seen = then, seen, mark(then)
+        if trace is not None:
+            trace.append(seen[0])
+        if seen == before:
+            break
+    return now.select(F.col("u").alias("v"), F.col("v").alias("contig_id")).unionByName(now.select("v", F.col("v").alias("contig_id")).distinct())
+
+
 def components(l: DataFrame, method: str = "contract", skip_inactive: bool = True, trace: list | None = None) -> DataFrame:
     """``(v, contig_id)``: the smallest vertex of each connected component, for vertices with edges.
 
     ``contract``: random contraction.  ``hook``: hook each tree's root on the smallest
     neighbouring root, then shortcut, converged trees leaving the edge list if
-    ``skip_inactive``.  ``label``: the smallest label travels one edge a round.
+    ``skip_inactive``.  ``label``: the smallest label travels one edge a round.  ``star``: every
+    vertex points its larger, then its smaller neighbours at the smallest one, until all are stars.
     """
     spark = l.sparkSession
     if method == "contract":
         store = Scratch(spark, "membership")
         return _smallest(store.keep(contract_components(spark, l.select("u", "v"), trace=trace)))
     store = Scratch(spark, method)
+    if method == "star":
+        return _stars(l, store, trace)
     edges = store.keep(both_ways(l.where("u <> v")))
     parent = store.keep(edges.select(F.col("u").alias("v"), F.col("u").alias("p")).distinct())
     p = lambda k, a: parent.select(F.col("v").alias(k), F.col("p").alias(a))
@@ -96,8 +121,7 @@ def components(l: DataFrame, method: str = "contract", skip_inactive: bool = Tru
             trace.append(moved)
         if not moved:
             break
-    if method == "hook":  # trees are flat once nothing moves, and their root is their smallest vertex
-        return parent.select("v", F.col("p").alias("contig_id"))
+    # trees are flat once nothing moves, and their root is their smallest vertex
     return parent.select("v", F.col("p").alias("contig_id"))
 
 

@@ -32,4 +32,11 @@ COVERAGE = {
     "set_except": "select o_custkey from {orders} where o_orderstatus = 'O' except select o_custkey from {orders} where o_orderstatus = 'F'",
     "fn_math_bits": "select l_orderkey, l_partkey, l_linenumber, l_orderkey & 255 as low, greatest(l_orderkey, l_partkey) as top, abs(l_orderkey - l_partkey) as gap from {lineitem}",
     "sql_recursive_reach": "with recursive r as (select conv_id, turn from {conversations} where turn = 0 union all select c.conv_id, c.turn from r join {conversations} c on c.conv_id = r.conv_id and c.turn = r.turn + 1) select conv_id, turn from r",
+    "join_self_triangle": "select x.l_orderkey as u, y.l_orderkey as v, count(*) as n from (select distinct l_orderkey, l_partkey, l_suppkey from {lineitem}) x join (select distinct l_orderkey, l_partkey, l_suppkey from {lineitem}) y on x.l_partkey = y.l_partkey and x.l_suppkey = y.l_suppkey and x.l_orderkey < y.l_orderkey group by x.l_orderkey, y.l_orderkey",
+    "join_shuffle_hash": "select /*+ shuffle_hash(s) */ s_nationkey, count(*) as n from {lineitem} l join {supplier} s on l_suppkey = s_suppkey group by s_nationkey",
+    "join_lateral_top1": "select c_custkey, x.o_orderkey from {customer} c cross join lateral (select o_orderkey from {orders} o where o.o_custkey = c.c_custkey order by o_totalprice desc, o_orderkey limit 1) x",
+    "agg_distribution": "select o_orderpriority, cast(count(*) filter (where o_totalprice > 1000) as bigint) as large, count(distinct o_custkey) as customers from {orders} group by o_orderpriority",
+    "set_intersect_all": "select c_nationkey as k from {customer} intersect all select s_nationkey from {supplier}",
+    "set_except_all": "select c_nationkey as k from {customer} except all select s_nationkey from {supplier}",
+    "exists_scalar_mask": "select l_orderkey, l_linenumber from {lineitem} where l_quantity > (select avg(l_quantity) from {lineitem}) and l_suppkey in (select s_suppkey from {supplier} where s_acctbal < 0)",
 }

@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupStateTimeout
 
 from stringweave.operators.overlap import count_kmers, kmers
 from stringweave.session import Scratch
@@ -45,6 +47,33 @@ def sessions(spark: SparkSession, sf_dir: str, minutes: int = 240) -> DataFrame:
     return drain(e, "complete").select("user_id", F.unix_micros(F.col("session_window.start").cast("timestamp")).alias("start_us"), "n")
 
 
+CHAIN = "user_id long, start_us long, n long"
+
+
+def stateful_chains(spark: SparkSession, sf_dir: str, minutes: int = 240) -> DataFrame:
+    """A user's open chain as state; a chain is emitted when an event past the gap closes it.
+
+    The state is three numbers a user.  Events of one batch are put in order; an event before the open
+    chain's end joins it.  Chains still open when the stream ends are not emitted.
+    """
+    gap = minutes * 60_000_000
+
+    def grow(key, frames, state):
+        start, end, n = state.get if state.exists else (None, None, 0)
+        closed = []
+        for at in sorted(x for f in frames for x in f["at"].tolist()):
+            if start is not None and at - end > gap:
+                closed.append((key[0], start, n))
+                start, end, n = None, None, 0
+            start, end, n = at if start is None else start, at if end is None else max(end, at), n + 1
+        if n:
+            state.update((start, end, n))
+        yield pd.DataFrame(closed, columns=["user_id", "start_us", "n"])
+
+    e = stream(spark, sf_dir, "events").where("user_id is not null and ts is not null").select("user_id", F.unix_micros(F.col("ts").cast("timestamp")).alias("at"))
+    return drain(e.groupBy("user_id").applyInPandasWithState(grow, CHAIN, "start long, end long, n long", "append", GroupStateTimeout.NoTimeout), "append")
+
+
 def kmer_counts(spark: SparkSession, sf_dir: str, k: int = 17) -> DataFrame:
     reads = shotgun(genome(stream(spark, sf_dir, "benchmark"), "item_id", "text"), 100, 25)
     return drain(count_kmers(kmers(reads, k)), "complete").groupBy("n").agg(F.count("*").alias("kmers"))
