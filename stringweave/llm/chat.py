@@ -17,6 +17,7 @@ for messages.  An empty table gives no rows.
 from __future__ import annotations
 
 import json
+import re
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -52,9 +53,28 @@ def problems(value, schema: dict, at: str = "$") -> list[str]:
     return out
 
 
+def whole(text: str) -> str:
+    """Text with lone surrogates, which UTF-8 can't hold, as JSON escapes."""
+    return re.sub("[\ud800-\udfff]", lambda m: f"\\u{ord(m[0]):04x}", text)
+
+
 def canonical(value) -> str:
     """Canonical JSON."""
-    return json.dumps(value, sort_keys=True, separators=(",", ":"), ensure_ascii=False)
+    return whole(json.dumps(value, sort_keys=True, separators=(",", ":"), ensure_ascii=False))
+
+
+def parsed(body: str):
+    """The value of a JSON text; NaN, infinities and nesting beyond Python's stack are no JSON."""
+
+    def refuse(name: str):
+        raise ValueError(name)
+
+    try:
+        value = json.loads(body, parse_constant=refuse)
+        json.dumps([[value]])  # it must also be writable, a little deeper than it stood
+        return value
+    except RecursionError as e:
+        raise ValueError("nested too deeply") from e
 
 
 def _key(c: str = "call_id") -> Column:
@@ -137,16 +157,17 @@ def format_calls(events: DataFrame, schemas: dict[str, dict]) -> DataFrame:
                 body = r["body"]
                 if r["kind"] == "call":
                     try:
-                        body = json.loads(body or "{}")
+                        value = parsed(body or "{}")
                         schema = shared.get(r["name"])
-                        found = [f"unknown tool {r['name']}"] if schema is None else problems(body, schema)
+                        found = [f"unknown tool {r['name']}"] if schema is None else problems(value, schema)
+                        body = value
                     except ValueError:
                         found = ["$: not JSON"]
                 made = {"role": r["kind"], "name": r["name"], "id": r["call_id"], ("arguments" if r["kind"] == "call" else "content"): body}
                 if r["after"]:
                     made["after"] = sorted(r["after"])
                 valid.append(not found)
-                errors.append("; ".join(found))
+                errors.append(whole("; ".join(found)))
                 texts.append(canonical({k: v for k, v in made.items() if v is not None or k == "content"}))
             keep = [c for c in b.schema.names if c not in ("name", "after", "body")]
             yield pa.RecordBatch.from_arrays([*[b.column(c) for c in keep], pa.array(valid, pa.bool_()), pa.array(errors, pa.string()), pa.array(texts, pa.string())], names=[*keep, "valid", "errors", "json"])

@@ -15,8 +15,6 @@ A text that is null or has no letter is ``und`` with score 0.
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -110,7 +108,6 @@ class Scorer:
         lone = {w: [e @ model[f"k{w}"][j * EMBED : (j + 1) * EMBED] for j in range(w)] for w in WIDTHS}
         pair = lambda a, b: (a[None, :, :] + b[:, None, :]).reshape(65536, FILTERS)  # noqa: E731  low byte first
         self.tables = {w: [pair(t[j], t[j + 1]) if j + 1 < w else t[j] for j in range(0, w, 2)] for w, t in lone.items()}
-        self.letter = re.compile(r"[^\W\d_]").search
 
     def windows(self, x: np.ndarray) -> np.ndarray:
         """Class probabilities of windows."""
@@ -145,7 +142,7 @@ class Scorer:
         best, score = total.argmax(axis=1), np.clip(total.max(axis=1), 0, 1)
         langs = []
         for i, t in enumerate(texts):
-            if t and self.letter(t.decode("utf-8", "replace")):
+            if t and any(map(str.isalpha, t.decode("utf-8", "replace"))):
                 langs.append(self.classes[best[i]])
             else:
                 langs.append("und")

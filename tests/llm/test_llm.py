@@ -403,3 +403,16 @@ def test_pipeline_against_stages_in_plain_python(spark, data, docs):
     assert sum(words[i] * n for i, n in times.items()) == pytest.approx(sum(words.values()), rel=0.05)
     for r in out[:200]:
         assert b"".join(voc.tokens[x] for x in r.ids).decode() == pii.masked(plain[r.doc_id], pii.find(plain[r.doc_id], auto))
+
+
+def test_chat_survives_odd_json(spark):
+    bodies = ['{"a":"\\ud800"}', '{"a":NaN}', "[" * 200_000, '{"a":"\\ud83d\\ude00"}', None]
+    ev = [(1, i, "call", "t", str(i), None, b) for i, b in enumerate(bodies)]
+    got = {r.pos: r for r in chat.format_calls(spark.createDataFrame(ev, chat.EVENTS), {"t": {"type": "object"}}).collect()}
+    assert [got[i].valid for i in range(5)] == [True, False, False, True, True]
+    assert "\\ud800" in got[0].json and json.loads(got[3].json)["arguments"] == {"a": "\U0001f600"}
+
+
+def test_letters_are_letters(spark):
+    got = langid.identify(spark.createDataFrame([(1, "\u00b2\u00bd 12 _", "en"), (2, "\u00e9", "en"), (3, "abc", "en")], "doc_id long, text string, lang string")).collect()
+    assert {r.doc_id for r in got if r.lang_pred == "und"} >= {1} and got[0].score == 0.0
