@@ -35,6 +35,7 @@ class Profile:
     ordered: bool = True
     cycle: str = "drop"
     strict: bool = False
+    singletons: str = "drop"
 
     @classmethod
     def low_error(cls, **more) -> Profile:
@@ -84,7 +85,7 @@ def assemble(reads: DataFrame, p: Profile | None = None) -> Assembly:
     reads = store.keep(reads)
     aln, s = string_graph(reads, p, seconds)
     began = time.time()
-    out = store.keep(contigs.generate_contigs(s, reads, p.owners, p.branch, p.components, p.weight, p.ordered, p.cycle, p.strict))
+    out = store.keep(contigs.generate_contigs(s, reads, p.owners, p.branch, p.components, p.weight, p.ordered, p.cycle, p.strict, p.singletons))
     seconds["ExtractContig"] = time.time() - began
     return Assembly(out, s, aln, seconds)
 

@@ -390,15 +390,29 @@ def local_assembly(edges: DataFrame, bases: DataFrame, owners: int, cycle: str =
     return e.groupBy("owner").cogroup(b.groupBy("owner")).applyInArrow(run, CONTIG)
 
 
-def generate_contigs(s: DataFrame, reads: DataFrame, owners: int = 16, branch: str = "vertex", method: str = "contract", weight: str = "reads", ordered: bool = True, cycle: str = "drop", strict: bool = False) -> DataFrame:
-    """The contig stage on a string graph ``(u, v, u_end, v_end, pre, post)``: see CONTIG for what it returns."""
+def generate_contigs(s: DataFrame, reads: DataFrame, owners: int = 16, branch: str = "vertex", method: str = "contract", weight: str = "reads", ordered: bool = True, cycle: str = "drop", strict: bool = False, singletons: str = "drop") -> DataFrame:
+    """The contig stage on a string graph ``(u, v, u_end, v_end, pre, post)``: see CONTIG for what it returns.
+
+    ``singletons="keep"`` adds the vertices that the mask left without an edge, each as a contig of one read.
+    """
     store = Scratch(s.sparkSession, "contigs")
     s = store.keep(s.select("u", "v", "u_end", "v_end", "pre", "post"))
     l = store.keep(mask(s, branching(degrees(s))) if branch == "vertex" else mask_ends(s, branching_ends(s)))
     member = store.keep(components(l, method))
     size = sizes(member, reads if weight == "bases" else None)
     place = store.keep(placement(member, assign(size, owners, ordered)))
-    return local_assembly(induced(l, place, sides=1), ship_reads(reads, place), owners, cycle, strict)
+    out = local_assembly(induced(l, place, sides=1), ship_reads(reads, place), owners, cycle, strict)
+    return out if singletons == "drop" else out.unionByName(lone(s, l, reads, owners))
+
+
+def lone(s: DataFrame, l: DataFrame, reads: DataFrame, owners: int) -> DataFrame:
+    """Vertices of ``s`` without an edge in ``l``, as contigs of one read; ids deal them to owners, as all weigh one."""
+    v = s.select(F.col("u").alias("read_id")).distinct().join(l.select(F.col("u").alias("read_id")).distinct(), "read_id", "left_anti")
+    no = F.lit(False)
+    return reads.join(v, "read_id").select(
+        F.pmod("read_id", F.lit(owners)).cast("int").alias("owner"), F.col("read_id").alias("contig_id"), F.lit(1).cast("long").alias("n_reads"), F.length("seq").cast("long").alias("len"),
+        no.alias("overrun"), no.alias("invalid_walk"), no.alias("cyclic"), "seq", F.array("read_id").alias("reads"),
+    )
 
 
 def load_report(contig_sizes: DataFrame, assignment: DataFrame, owners: int) -> DataFrame:
