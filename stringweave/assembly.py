@@ -20,7 +20,7 @@ class Profile:
     x: int = 15
     min_score: int = 31
     lo: int = 2
-    hi: int = 64
+    hi: int | None = None
     min_shared: int = 1
     method: str = "exact"
     both_strands: bool = True
@@ -57,7 +57,11 @@ class Assembly:
 
 
 def string_graph(reads: DataFrame, p: Profile, seconds: dict | None = None) -> tuple[DataFrame, DataFrame]:
-    """Overlaps of reads and their reduced string graph."""
+    """Overlaps of reads and their reduced string graph.
+
+    Equal reads are aligned once, by the smallest id, where contained reads are dropped: the others
+    would go as contained.  k-mers are counted over all reads, and the overlaps are those of all.
+    """
     store, took = Scratch(reads.sparkSession, "graph"), {} if seconds is None else seconds
 
     def stage(name, df):
@@ -66,16 +70,22 @@ def string_graph(reads: DataFrame, p: Profile, seconds: dict | None = None) -> t
         took[name] = took.get(name, 0) + time.time() - began
         return out
 
-    km = overlap.kmers(reads, p.k, p.both_strands)
-    km = overlap.minimizers(km, p.sample) if p.sample > 1 else km
-    counts = stage("CountKmer", overlap.reliable(overlap.count_kmers(km), p.lo, p.hi))
-    a = overlap.build_a(km, counts)
-    c = stage("DetectOverlap", overlap.candidates(a, reads, p.k, p.min_shared, by_diagonal=p.method == "exact"))
-    align = {"exact": lambda: overlap.align_exact(c, reads), "ungapped": lambda: overlap.align_ungapped(c, reads, p.k, p.x), "xdrop": lambda: overlap.align_xdrop(c, reads, p.k, p.x, p.min_score)}[p.method]
+    def words(reads):
+        km = overlap.kmers(reads, p.k, p.both_strands)
+        return overlap.minimizers(km, p.sample) if p.sample > 1 else km
+
+    counts = stage("CountKmer", overlap.reliable(overlap.count_kmers(words(reads)), p.lo, p.hi))
+    once = p.drop_contained and p.lo <= 2 and p.hi is None and p.sample == 1 and p.min_shared == 1
+    members = stage("CountKmer", overlap.equal_reads(reads)) if once else None
+    own = reads.join(members.where("read_id = rep").select("read_id"), "read_id", "left_semi") if once else reads
+    a = overlap.build_a(words(own), counts)
+    c = stage("DetectOverlap", overlap.candidates(a, own, p.k, p.min_shared, by_diagonal=p.method == "exact"))
+    align = {"exact": lambda: overlap.align_exact(c, own), "ungapped": lambda: overlap.align_ungapped(c, own, p.k, p.x), "xdrop": lambda: overlap.align_xdrop(c, own, p.k, p.x, p.min_score)}[p.method]
     aln = stage("Alignment", overlap.best_per_pair(overlap.prune_low_score(align(), p.min_score)))
     kept = overlap.drop_reads(aln, overlap.contained(aln, p.fuzz)) if p.drop_contained else aln
     edges = overlap.classify(kept, p.fuzz)
-    return aln, stage("TrReduction", overlap.transitive_reduction(edges, p.fuzz) if p.reduce else edges)
+    full = overlap.spread(aln, members, reads, max(p.k, p.min_score)) if once else aln
+    return full, stage("TrReduction", overlap.transitive_reduction(edges, p.fuzz) if p.reduce else edges)
 
 
 def assemble(reads: DataFrame, p: Profile | None = None) -> Assembly:

@@ -77,9 +77,9 @@ def count_kmers(km: DataFrame) -> DataFrame:
     return km.groupBy("kmer").agg(F.count("*").alias("n"))
 
 
-def reliable(counts: DataFrame, lo: int = 2, hi: int = 8) -> DataFrame:
-    """k-mers of a multiplicity that neither an error nor a repeat makes likely."""
-    return counts.where(F.col("n").between(lo, hi))
+def reliable(counts: DataFrame, lo: int = 2, hi: int | None = 8) -> DataFrame:
+    """k-mers of a multiplicity that neither an error nor a repeat makes likely; without ``hi`` only errors go."""
+    return counts.where(F.col("n") >= lo if hi is None else F.col("n").between(lo, hi))
 
 
 def build_a(km: DataFrame, counts: DataFrame) -> DataFrame:
@@ -87,17 +87,38 @@ def build_a(km: DataFrame, counts: DataFrame) -> DataFrame:
     return km.join(counts.select("kmer"), "kmer", "left_semi").select(F.col("read_id").alias("row"), F.col("kmer").alias("col"), F.struct("pos", "rev").alias("val"))
 
 
+#: Rows of a k-mer's column that one task multiplies; longer columns are cut into pieces.
+PIECE_ROWS = 512
+
+
+def _pieces(a: DataFrame) -> DataFrame:
+    """``a`` with ``own``, a row's piece of its column, and ``n_pieces``, the pieces of the column."""
+    heavy = a.groupBy("col").agg(F.count("*").alias("n")).where(F.col("n") > PIECE_ROWS).select("col", F.ceil(F.col("n") / PIECE_ROWS).cast("int").alias("n_pieces"))
+    cut = a.join(heavy, "col", "left").withColumn("n_pieces", F.coalesce("n_pieces", F.lit(1)))
+    return cut.withColumn("own", F.pmod(F.xxhash64("row", "val.pos"), F.col("n_pieces")).cast("int"))
+
+
+def products(a: DataFrame) -> DataFrame:
+    """Every two rows u < v of a column with their values: ``(col, u, v, pu, ru, pv, rv)``.
+
+    A column of more than ``PIECE_ROWS`` rows is multiplied piece by piece, every piece with every
+    one, so no task holds it whole and no product is left out.
+    """
+    cut = _pieces(a)
+    every = F.explode(F.sequence(F.lit(0), F.col("n_pieces") - 1))
+    u = cut.select(F.col("row").alias("u"), "col", F.col("own").alias("i"), every.alias("j"), F.col("val.pos").alias("pu"), F.col("val.rev").alias("ru"))
+    v = cut.select(F.col("row").alias("v"), "col", every.alias("i"), F.col("own").alias("j"), F.col("val.pos").alias("pv"), F.col("val.rev").alias("rv"))
+    return u.join(v, ["col", "i", "j"]).where("u < v").drop("i", "j")
+
+
 def candidates(a: DataFrame, lengths: DataFrame, k: int, min_shared: int = 1, by_diagonal: bool = False) -> DataFrame:
     """A times its transpose, upper triangle: shared k-mers and two seeds of every pair and strand.
 
-    The multiplicity window bounds a k-mer's column, and so its products.  Seeds are positions in
-    ``u`` and in ``v`` as it lies along ``u``; the first and the last in ``u`` are kept.  With
-    ``by_diagonal`` each offset between the reads is a row of its own.
+    Seeds are positions in ``u`` and in ``v`` as it lies along ``u``; the first and the last in
+    ``u`` are kept.  With ``by_diagonal`` each offset between the reads is a row of its own.
     """
-    u = a.select(F.col("row").alias("u"), "col", F.col("val.pos").alias("pu"), F.col("val.rev").alias("ru"))
-    v = a.select(F.col("row").alias("v"), "col", F.col("val.pos").alias("pv"), F.col("val.rev").alias("rv"))
     rev = F.col("ru") != F.col("rv")
-    pairs = u.join(v, "col").where("u < v").join(lengths.select(F.col("read_id").alias("v"), F.col("len").alias("nv")), "v")
+    pairs = products(a).join(lengths.select(F.col("read_id").alias("v"), F.col("len").alias("nv")), "v")
     pairs = pairs.select("u", "v", rev.alias("rev"), "pu", F.when(rev, F.col("nv") - k - F.col("pv")).otherwise(F.col("pv")).alias("pv"))
     keys = ["u", "v", "rev"]
     if by_diagonal:
@@ -237,6 +258,25 @@ def _swapped(aln: DataFrame) -> DataFrame:
     return aln.select(F.col("v").alias("u"), F.col("u").alias("v"), "rev", F.col("nv").alias("nu"), F.col("nu").alias("nv"), "score", F.col("bv").alias("bu"), F.col("ev").alias("eu"), F.col("bu").alias("bv"), F.col("eu").alias("ev"))
 
 
+def equal_reads(reads: DataFrame) -> DataFrame:
+    """``(read_id, rep)``: every read and the smallest id among the reads of its very bases."""
+    key = F.sha2("seq", 256)
+    least = reads.groupBy(key.alias("key")).agg(F.min("read_id").alias("rep"))
+    return reads.select("read_id", key.alias("key")).join(least, "key").select("read_id", "rep")
+
+
+def spread(aln: DataFrame, members: DataFrame, reads: DataFrame, at_least: int) -> DataFrame:
+    """Alignments of representatives as those of all their reads; equal reads of ``at_least`` bases align whole."""
+    m = members.select("read_id", "rep")
+    x = aln.join(m.select(F.col("rep").alias("u"), F.col("read_id").alias("mu")), "u").join(m.select(F.col("rep").alias("v"), F.col("read_id").alias("mv")), "v")
+    x = x.withColumns({"u": F.col("mu"), "v": F.col("mv")}).select(*aln.columns)
+    twins = products(m.select(F.col("read_id").alias("row"), F.col("rep").alias("col"), F.struct(F.lit(0).alias("pos"), F.lit(False).alias("rev")).alias("val")))
+    n, zero = F.col("len"), F.lit(0)
+    twins = twins.join(reads.select(F.col("read_id").alias("u"), F.col("len").cast("int").alias("len")).where(n >= at_least), "u")
+    twins = twins.select("u", "v", F.lit(False).alias("rev"), n.alias("nu"), n.alias("nv"), n.alias("score"), zero.alias("bu"), n.alias("eu"), zero.alias("bv"), n.alias("ev"))
+    return x.where("u < v").unionByName(_swapped(x.where("u > v"))).unionByName(twins)
+
+
 def _overhangs():
     lv = F.when(F.col("rev"), F.col("nv") - F.col("ev")).otherwise(F.col("bv"))
     rv = F.when(F.col("rev"), F.col("bv")).otherwise(F.col("nv") - F.col("ev"))

@@ -57,7 +57,7 @@ def kmer_sample_pairs(spark, d):
     km = Scratch(spark, "sample").keep(overlap.kmers(r, 31))
 
     def pairs(k):
-        a = overlap.build_a(k, overlap.reliable(overlap.count_kmers(k), 2, 64))
+        a = overlap.build_a(k, overlap.reliable(overlap.count_kmers(k), 2, None))
         return overlap.candidates(a, r, 31).select("u", "v").distinct()
 
     every, some, one = pairs(km), pairs(overlap.minimizers(km, 4)), pairs(overlap.minimizers(km, 1))

@@ -127,7 +127,7 @@ _A = f"{_SHOT}, {_km(31)}, ok as (select kmer from km group by kmer having count
 
 def _bench_a(spark, d):
     km = overlap.kmers(bench_reads(spark, d), 31)
-    return overlap.build_a(km, overlap.reliable(overlap.count_kmers(km), 2, 64))
+    return overlap.build_a(km, overlap.reliable(overlap.count_kmers(km), 2, None))
 
 
 @query(f"with {_A} select read_id as row, kmer as col, pos, rev from a")

@@ -150,3 +150,19 @@ def test_measures_formulas():
 def test_neighbour_graph_is_mutual(spark, data):
     n = graphs.neighbours(spark.read.parquet(f"{data}/embeddings.parquet"))
     assert n.where("u >= v").count() == 0 and n.count() > 200
+
+
+def test_no_bound_on_copies_of_a_kmer(spark, monkeypatch):
+    monkeypatch.setattr(overlap, "PIECE_ROWS", 16)
+    rng = random.Random(5)
+    whole = "".join(rng.choice("ACGT") for _ in range(160))
+    cut = [whole[s : s + 100] for s in (0, 20, 40, 60)]
+    rows = [(i, cut[i % 4] if i % 8 < 4 else baselines.revcomp(cut[i % 4])) for i in range(400)]
+    r = spark.createDataFrame(rows, "read_id long, seq string").withColumn("len", F.length("seq"))
+    out = assembly.assemble(r)
+    assert [c.seq in (whole, baselines.revcomp(whole)) for c in out.contigs.collect()] == [True]
+    full = out.alignments.select("u", "v").collect()
+    assert len(full) == len(set(full)) == 400 * 399 // 2 and all(x.u < x.v for x in full)
+    same = assembly.string_graph(r.where("read_id < 40"), assembly.Profile.low_error(drop_contained=False))[0]
+    grouped = assembly.string_graph(r.where("read_id < 40"), assembly.Profile.low_error())[0]
+    assert sorted(map(tuple, same.collect())) == sorted(map(tuple, grouped.select(*same.columns).collect()))
