@@ -79,7 +79,7 @@ def string_graph(reads: DataFrame, p: Profile, seconds: dict | None = None) -> t
     members = stage("CountKmer", overlap.equal_reads(reads)) if once else None
     own = reads.join(members.where("read_id = rep").select("read_id"), "read_id", "left_semi") if once else reads
     a = overlap.build_a(words(own), counts)
-    c = stage("DetectOverlap", overlap.candidates(a, own, p.k, p.min_shared, by_diagonal=p.method == "exact"))
+    c = stage("DetectOverlap", overlap.candidates(a, own, p.k, p.min_shared, by_diagonal=True))
     align = {"exact": lambda: overlap.align_exact(c, own), "ungapped": lambda: overlap.align_ungapped(c, own, p.k, p.x), "xdrop": lambda: overlap.align_xdrop(c, own, p.k, p.x, p.min_score)}[p.method]
     aln = stage("Alignment", overlap.best_per_pair(overlap.prune_low_score(align(), p.min_score)))
     kept = overlap.drop_reads(aln, overlap.contained(aln, p.fuzz)) if p.drop_contained else aln

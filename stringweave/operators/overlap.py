@@ -124,7 +124,10 @@ def candidates(a: DataFrame, lengths: DataFrame, k: int, min_shared: int = 1, by
     if by_diagonal:
         pairs, keys = pairs.withColumn("diag", F.col("pu") - F.col("pv")), [*keys, "diag"]
     seed = F.struct("pu", "pv")
-    return pairs.groupBy(*keys).agg(F.count("*").alias("n_shared"), F.min(seed).alias("seed1"), F.max(seed).alias("seed2")).where(F.col("n_shared") >= min_shared)
+    c = pairs.groupBy(*keys).agg(F.count("*").alias("n_shared"), F.min(seed).alias("seed1"), F.max(seed).alias("seed2"))
+    if by_diagonal and min_shared > 1:  # a gap moves shared k-mers to another diagonal
+        return c.withColumn("all", F.sum("n_shared").over(Window.partitionBy("u", "v", "rev"))).where(F.col("all") >= min_shared).drop("all")
+    return c.where(F.col("n_shared") >= min_shared)
 
 
 def _fetched(c: DataFrame, reads: DataFrame) -> DataFrame:
@@ -153,14 +156,15 @@ def align_exact(c: DataFrame, reads: DataFrame) -> DataFrame:
 def align_ungapped(c: DataFrame, reads: DataFrame, k: int, x: int) -> DataFrame:
     """Seed-and-extend without gaps, stopping where the score falls more than ``x`` below its best.
 
-    Scores are running sums over windows of the compared bases; a match is 1, a mismatch -1.
+    Every seed of a row of ``c`` is extended, and gives an alignment.  Scores are running sums over windows of the compared bases; a match is 1, a mismatch -1.
     """
-    j = _fetched(c, reads).withColumns({"pu": F.col("seed1.pu"), "pv": F.col("seed1.pv")})
-    keys = ["u", "v", "rev"]
+    seeds = c.withColumn("seed", F.explode(F.array_distinct(F.array("seed1", "seed2"))))
+    j = _fetched(seeds.select("u", "v", "rev", F.col("seed.pu").alias("pu"), F.col("seed.pv").alias("pv")), reads)
+    keys = ["u", "v", "rev", "pu", "pv"]
 
     def side(right: bool) -> DataFrame:
         n = F.least(F.col("nu") - F.col("pu"), F.col("nv") - F.col("pv")) - k if right else F.least("pu", "pv")
-        steps = j.withColumn("n", n).where("n > 0").select(*keys, "su", "sv", "pu", "pv", F.explode(F.sequence(F.lit(1), F.col("n"))).alias("i"))
+        steps = j.withColumn("n", n).where("n > 0").select(*keys, "su", "sv", F.explode(F.sequence(F.lit(1), F.col("n"))).alias("i"))
         at = (lambda p: F.col(p) + k + F.col("i")) if right else (lambda p: F.col(p) + 1 - F.col("i"))
         same = F.substring("su", at("pu"), F.lit(1)) == F.substring("sv", at("pv"), F.lit(1))
         w = Window.partitionBy(*keys).orderBy("i").rowsBetween(Window.unboundedPreceding, 0)
@@ -219,23 +223,30 @@ def xdrop_one_side(a: bytes, b: bytes, x: int, match: int = 1, mismatch: int = -
 
 
 def align_xdrop(c: DataFrame, reads: DataFrame, k: int, x: int, min_score: int = 0) -> DataFrame:
-    """Gapped seed-and-extend in Arrow batches; pairs below ``min_score`` never leave the worker."""
-    j = _fetched(c, reads).select("u", "v", "rev", "nu", "nv", "su", "sv", F.col("seed1.pu").alias("pu"), F.col("seed1.pv").alias("pv"))
+    """Gapped seed-and-extend in Arrow batches; pairs below ``min_score`` never leave the worker.
+
+    Both seeds of a row of ``c`` are extended, the second unless the first one's span covers it on its diagonal.
+    """
+    j = _fetched(c, reads).select("u", "v", "rev", "nu", "nv", "su", "sv", "seed1", "seed2")
     schema = "u long, v long, rev boolean, nu int, nv int, score int, bu int, eu int, bv int, ev int"
 
     def work(batches):
         for b in batches:
             out = []
             for r in b.to_pylist():
-                su, sv, pu, pv = r["su"].encode(), r["sv"].encode(), r["pu"], r["pv"]
-                rs, ra, rb = xdrop_one_side(su[pu + k :], sv[pv + k :], x)
-                ls, la, lb = xdrop_one_side(su[:pu][::-1], sv[:pv][::-1], x)
-                if rs + ls + k < min_score:
-                    continue
-                bw, ew = pv - lb, pv + k + rb
-                if r["rev"]:
-                    bw, ew = r["nv"] - ew, r["nv"] - bw
-                out.append((r["u"], r["v"], r["rev"], r["nu"], r["nv"], rs + ls + k, pu - la, pu + k + ra, bw, ew))
+                su, sv, done = r["su"].encode(), r["sv"].encode(), None
+                for pu, pv in ((s["pu"], s["pv"]) for s in (r["seed1"], r["seed2"])):
+                    if done and (pu, pv) == done[:2] or done and pu - pv == done[0] - done[1] and pu + k <= done[2] and pv + k <= done[3]:
+                        continue
+                    rs, ra, rb = xdrop_one_side(su[pu + k :], sv[pv + k :], x)
+                    ls, la, lb = xdrop_one_side(su[:pu][::-1], sv[:pv][::-1], x)
+                    done = (pu, pv, pu + k + ra, pv + k + rb)
+                    if rs + ls + k < min_score:
+                        continue
+                    bw, ew = pv - lb, pv + k + rb
+                    if r["rev"]:
+                        bw, ew = r["nv"] - ew, r["nv"] - bw
+                    out.append((r["u"], r["v"], r["rev"], r["nu"], r["nv"], rs + ls + k, pu - la, pu + k + ra, bw, ew))
             cols = list(zip(*out)) or [[]] * 10
             kinds = [pa.int64(), pa.int64(), pa.bool_(), *[pa.int32()] * 7]
             yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(cols, kinds)], names=["u", "v", "rev", "nu", "nv", "score", "bu", "eu", "bv", "ev"])

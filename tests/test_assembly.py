@@ -166,3 +166,13 @@ def test_no_bound_on_copies_of_a_kmer(spark, monkeypatch):
     same = assembly.string_graph(r.where("read_id < 40"), assembly.Profile.low_error(drop_contained=False))[0]
     grouped = assembly.string_graph(r.where("read_id < 40"), assembly.Profile.low_error())[0]
     assert sorted(map(tuple, same.collect())) == sorted(map(tuple, grouped.select(*same.columns).collect()))
+
+
+def test_overlap_beside_a_repeat_before_it(spark):
+    rng = random.Random(6)
+    made = lambda n: "".join(rng.choice("ACGT") for _ in range(n))
+    word, shared = made(31), made(90)
+    r = spark.createDataFrame([(1, word + made(60) + shared), (2, shared + made(60) + word)], "read_id long, seq string").withColumn("len", F.length("seq"))
+    for method in ("exact", "ungapped", "xdrop"):
+        aln = assembly.string_graph(r, assembly.Profile.low_error(method=method, min_score=60))[0].collect()
+        assert [(a.bu, a.eu, a.bv, a.ev) for a in aln] == [(91, 181, 0, 90)], method
