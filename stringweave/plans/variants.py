@@ -305,7 +305,7 @@ def consensus_polish(spark, d):
 @query(f"with {_SHOT} select chrom, s::int as at, max(substr(seq, 1, 1)) as base from (select chrom, unnest(range(len)) as s, substr(seq, unnest(range(len)) + 1, 1) as seq from g where len <= 400) group by 1, 2")
 def udaf_consensus(spark, d):
     surface.register(spark)
-    surface.pile(bench_reads(spark, d).join(bench_genome(spark, d).where("len <= 400").select("chrom"), "chrom", "left_semi")).createOrReplaceTempView("sw_pile")
+    surface.pile(bench_reads(spark, d)).createOrReplaceTempView("sw_pile")
     return spark.sql("select chrom, at, consensus(base, 1) as base from sw_pile group by chrom, at")
 
 
