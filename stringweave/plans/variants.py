@@ -155,8 +155,11 @@ def grid_example(spark, d):
 
 @query(f"""with g as (select {_ENC.format('text')} as seq from benchmark) select least(seq, {_RC.format('seq')}) as seq, length(seq)::bigint as len from g where length(seq) >= 400""")
 def second_round(spark, d):
-    """Two runs over the left and the right part of each passage; a run over their contigs joins them."""
-    g = bench_genome(spark, d).where("len >= 400")
+    """Two runs over the left and the right part of each passage; a run over their contigs joins them.
+
+    Passages whose parts share fewer than 31 bases, or have no contig on one side, give no row.
+    """
+    g = bench_genome(spark, d)
     r = R.shotgun(g, 100, 25).join(g.select("chrom", F.col("len").alias("whole")), "chrom")
     left, right = r.where("end <= whole * 0.65"), r.where("start >= whole * 0.35")
     first = [assembly.assemble(x.select("read_id", "seq", "len")).contigs for x in (left, right)]
