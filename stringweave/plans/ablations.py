@@ -199,6 +199,6 @@ def agg_pivot_bases(spark, d):
 
 @query(f"with {_G} select chrom, {_RC.format('substr(seq, 1, 40)')} as rc, levenshtein(substr(seq, 1, 40), {_RC.format('substr(seq, 1, 40)')})::int as edits, substr(seq, 1, 40) = {_RC.format('substr(seq, 1, 40)')} as palindrome from g")
 def fn_string_dna(spark, d):
-    """Beginnings of passages against their own other strand."""
-    s = F.substring("seq", 1, 40)
+    """Passages against their own other strand."""
+    s = F.col("seq")
     return bench_genome(spark, d).select("chrom", dna.revcomp(s).alias("rc"), F.levenshtein(s, dna.revcomp(s)).alias("edits"), (s == dna.revcomp(s)).alias("palindrome"))

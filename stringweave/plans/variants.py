@@ -422,10 +422,10 @@ def fn_dates(spark, d):
 
 @query(f"with {_G} select a.chrom, levenshtein(substr(a.seq, 1, 90), substr(b.seq, 1, 90))::int as edits from g a join g b on b.chrom = a.chrom + 1")
 def fn_string_edits(spark, d):
-    """Edit distance of neighbouring passages' beginnings."""
+    """Edit distance of neighbouring passages."""
     g = bench_genome(spark, d)
     n = g.select((F.col("chrom") - 1).alias("chrom"), F.col("seq").alias("other"))
-    return g.join(n, "chrom").select("chrom", F.levenshtein(F.substring("seq", 1, 90), F.substring("other", 1, 90)).alias("edits"))
+    return g.join(n, "chrom").select("chrom", F.levenshtein("seq", "other").alias("edits"))
 
 
 @query("with " + _SESS.format(g=240 * 60_000_000) + ", w as (select user_id, i, min(ts) as s, count(*)::bigint as n from y group by 1, 2) select user_id, epoch_us(s) as start_us, n from w qualify i < max(i) over (partition by user_id)")

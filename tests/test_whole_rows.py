@@ -49,3 +49,13 @@ def test_second_round_of_short_passages(spark, tmp_path):
     want = sorted(w for w in map(_second_round, seqs) if w)
     assert 0 < len(want) < len(seqs) and any(len(w) < 400 for w in want)
     assert sorted(r.seq for r in entry.queries()["second_round"](spark, str(tmp_path)).select("seq").collect()) == want
+
+
+def test_edits_and_palindromes_of_whole_texts(spark):
+    rc = registry._RC.format("seq")
+    for name, sql in (
+        ("fn_string_edits", f"with {registry._G} select a.chrom, levenshtein(a.seq, b.seq)::int as edits from g a join g b on b.chrom = a.chrom + 1"),
+        ("fn_string_dna", f"with {registry._G} select chrom, {rc} as rc, levenshtein(seq, {rc})::int as edits, seq = {rc} as palindrome from g"),
+    ):
+        got, want = _both(spark, name, sql)
+        assert got == want and got, name
