@@ -197,12 +197,14 @@ def search(graph: Graph, raw: np.ndarray, queries: np.ndarray, threshold: float
     q, v = unit(queries), unit(raw)
     probe = np.arange(0, len(q), AUDIT_EVERY)
     truth = int(sum((q[probe[a : a + 64]] @ v.T >= threshold).sum() for a in range(0, len(probe), 64)))
+    if own:  # a vector's match with itself is no link
+        truth -= int((np.einsum("nd,nd->n", q[probe], v[probe]) >= threshold).sum())
     while True:
         i, j = graph.within(q, threshold - 1e-5, beam, own)
         # verified in double precision, as dot product over both norms
         ok = np.concatenate([np.einsum("nd,nd->n", queries[i[a : a + 65536]], raw[j[a : a + 65536]]) / (np.linalg.norm(queries[i[a : a + 65536]], axis=1) * np.linalg.norm(raw[j[a : a + 65536]], axis=1)) for a in range(0, len(i), 65536)] or [np.empty(0)]) >= threshold
         i, j = i[ok], j[ok]
-        if beam >= len(v) or np.isin(i, probe).sum() >= AUDIT_RECALL * truth:
+        if beam >= len(v) or (np.isin(i, probe) & ~(own & (i == j))).sum() >= AUDIT_RECALL * truth:
             return i, j
         beam *= 2
 
