@@ -16,6 +16,7 @@ for messages.  An empty table gives no rows.
 
 from __future__ import annotations
 
+import itertools
 import json
 import re
 
@@ -106,11 +107,16 @@ def link(events: DataFrame) -> DataFrame:
     return j.select(*events.columns, partner.alias("partner"), status.alias("status"))
 
 
-def depths(events: DataFrame, max_rounds: int = 10_000) -> DataFrame:
+#: Rounds of peeling whose tables are read one by one; more are written as one.
+ROUNDS_APART = 32
+
+
+def depths(events: DataFrame, max_rounds: int | None = None) -> DataFrame:
     """``(conv_id, call_id, depth)`` of calls in conversations where position is no topological order.
 
     ``depth`` is the longest chain of dependencies below a call, -1 on or above a cycle.  Other
-    conversations have no rows.
+    conversations have no rows.  Peeling goes on until nothing is left; where ``max_rounds`` end it
+    before that, it raises.
     """
     spark, store = events.sparkSession, Scratch(events.sparkSession, "chat")
     calls = store.keep(
@@ -122,15 +128,19 @@ def depths(events: DataFrame, max_rounds: int = 10_000) -> DataFrame:
     edges = store.keep(deps.join(late, "conv_id", "left_semi").select("conv_id", "call_id", "dep"))
     todo = store.keep(calls.join(late, "conv_id", "left_semi").select("conv_id", "call_id"))
     done = None
-    for depth in range(max_rounds):
+    for depth in itertools.count():
         if not edges.limit(1).count() and not todo.limit(1).count():
             break
+        if depth == max_rounds:
+            raise RuntimeError(f"calls are left after {max_rounds} rounds")
         free = store.keep(todo.join(edges, ["conv_id", "call_id"], "left_anti"))
         if not free.limit(1).count():
             rest = todo.withColumn("depth", F.lit(-1))
             return rest if done is None else done.unionByName(rest)
         now = free.withColumn("depth", F.lit(depth))
         done = now if done is None else done.unionByName(now)
+        if depth % ROUNDS_APART == ROUNDS_APART - 1:
+            done = store.keep(done)
         edges = store.keep(edges.join(free.select("conv_id", F.col("call_id").alias("dep")), ["conv_id", "dep"], "left_anti"))
         todo = store.keep(todo.join(free, ["conv_id", "call_id"], "left_anti"))
     return spark.createDataFrame([], "conv_id long, call_id string, depth int") if done is None else done

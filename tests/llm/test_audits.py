@@ -1,8 +1,9 @@
 """Audits and bounds that must not pass in silence."""
 
 import numpy as np
+import pytest
 
-from stringweave.llm import embeddings
+from stringweave.llm import chat, embeddings
 
 
 class _Narrow:
@@ -22,3 +23,12 @@ def test_own_matches_do_not_carry_the_audit():
     raw[1] = raw[0] * 2
     i, j = embeddings.search(_Narrow(raw, [(0, 1), (1, 0)]), raw, raw, own=True)
     assert {(0, 1), (1, 0)} <= set(zip(i.tolist(), j.tolist()))
+
+
+def test_reversed_chain_is_peeled_whole_or_raises(spark, monkeypatch):
+    monkeypatch.setattr(chat, "ROUNDS_APART", 2)
+    ev = [(1, i, "call", "f", f"c{i}", [f"c{i + 1}"] if i < 5 else [], "{}") for i in range(6)]
+    e = spark.createDataFrame(ev, chat.EVENTS)
+    assert {r.call_id: r.depth for r in chat.depths(e).collect()} == {f"c{i}": 5 - i for i in range(6)}
+    with pytest.raises(RuntimeError):
+        chat.depths(e, max_rounds=3)
