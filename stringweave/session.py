@@ -7,6 +7,7 @@ a cut lineage is always a table in the shared folder that the cluster names in
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
 
@@ -29,13 +30,44 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
+#: One list of folders per open ``released`` block, the innermost last.
+_OPEN: list[list[str]] = []
+
+
+@contextlib.contextmanager
+def released(spark: SparkSession):
+    """Deletes at its end what was kept inside it; for work whose result has been written elsewhere."""
+    _OPEN.append([])
+    try:
+        yield
+    finally:
+        for root in _OPEN.pop():
+            _delete(spark, root)
+
+
+def _path(spark: SparkSession, path: str):
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p, p.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf())
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    p, fs = _path(spark, path)
+    fs.delete(p, True)
+
+
 class Scratch:
-    """Tables written to the shared folder; ``drop`` deletes those no longer read."""
+    """Tables written to the shared folder; ``drop`` deletes those no longer read.
+
+    A lazy result may read them as long as the session lives, so what nobody dropped goes when the
+    session ends, or with the ``released`` block around it.
+    """
 
     def __init__(self, spark: SparkSession, label: str):
         self.spark = spark
         self.root = f"{shared_dir(spark)}/stringweave/{label}-{uuid.uuid4().hex}"
         self.n = 0
+        if _OPEN:
+            _OPEN[-1].append(self.root)
 
     def keep(self, df: DataFrame) -> DataFrame:
         """Write ``df`` once and return a scan of what was written.
@@ -47,6 +79,9 @@ class Scratch:
         path = f"{self.root}/t{self.n}"
         self.n += 1
         df.write.parquet(path)
+        if path.endswith("/t0"):
+            p, fs = _path(self.spark, self.root)
+            fs.deleteOnExit(p)
         out = self.spark.read.schema(df.schema).parquet(path)
         out._scratch_path = path
         return out
@@ -55,9 +90,7 @@ class Scratch:
         """Delete a table made by ``keep``; nothing may read it afterwards."""
         path = getattr(df, "_scratch_path", None)
         if path:
-            jvm = self.spark._jvm
-            p = jvm.org.apache.hadoop.fs.Path(path)
-            p.getFileSystem(self.spark._jsparkSession.sessionState().newHadoopConf()).delete(p, True)
+            _delete(self.spark, path)
 
 
 def task_count(spark: SparkSession, n_rows: int, rows_per_task: int) -> int:
