@@ -12,45 +12,66 @@ from pyspark.sql import functions as F
 
 from stringweave.llm import bpe, langid, mixing, pii, simhash
 from stringweave.llm.queries import tokenizer_path
-from stringweave.session import Scratch
+from stringweave.session import Scratch, released
 
 #: Language networks, random order and tokens have no SQL; tests/llm compares the rows with plain Python.
 ORACLE_SQL = None
+#: Share of the probability that the best language of a text must have.
+LEAST_SCORE = 0.4
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in which the network finds a language; those without a letter go."""
+    """Documents whose language the network tells, with that language as their ``lang``.
+
+    Texts that are null or without a letter go, and those whose best language has less than
+    LEAST_SCORE of the probability.  Repeated rows keep their number; other columns, whatever their
+    names, pass unchanged.
+    """
     own = [F.col(f"`{c}`").alias(f"__{i}") for i, c in enumerate(docs.columns)]
     tagged = langid.identify(docs.select(*own, "text"), learn_from=docs, keep=[f"__{i}" for i in range(len(own))])
-    return tagged.where(F.col("lang_pred") != "und").select(*[F.col(f"__{i}").alias(c) for i, c in enumerate(docs.columns)])
+    told = tagged.where((F.col("lang_pred") != "und") & (F.col("score") >= LEAST_SCORE))
+    return told.select(*[(F.col("lang_pred") if c == "lang" else F.col(f"__{i}")).alias(c) for i, c in enumerate(docs.columns)])
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies, the one with the smallest id."""
+    """One document of each group of near copies, the one with the smallest id.
+
+    Rows without an id stay; of repeated rows of an id one stays.
+    """
     return simhash.keep_one(docs)
 
 
 def personal_data_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Personal data replaced by its kind in brackets; ``n_chars`` follows the text."""
-    found = pii.scan(docs, mask=True)
+    """Personal data replaced by its kind in brackets; ``n_chars``, where there is one, follows the text.
+
+    A null text stays null and keeps its ``n_chars``.  Other columns, whatever their names, pass unchanged.
+    """
+    own = [F.col(f"`{c}`").alias(f"__{i}") for i, c in enumerate(docs.columns)]
+    found = pii.scan(docs.select(*own, "text"), keep=[f"__{i}" for i in range(len(own))], mask=True)
     out = []
-    for c in docs.columns:
+    for i, c in enumerate(docs.columns):
         if c == "text":
-            out.append(F.col("masked").alias("text"))
+            out.append(F.col("masked").alias(c))
         elif c == "n_chars":
-            out.append(F.when(F.col("masked").isNull(), F.col("n_chars")).otherwise(F.length("masked")).cast(docs.schema["n_chars"].dataType).alias("n_chars"))
+            out.append(F.when(F.col("masked").isNull(), F.col(f"__{i}")).otherwise(F.length("masked")).cast(docs.schema[c].dataType).alias(c))
         else:
-            out.append(F.col(f"`{c}`"))
+            out.append(F.col(f"__{i}").alias(c))
     return found.select(*out)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents as the mix serves them; those served again repeat."""
+    """The documents as the mix serves them; those served again repeat, those without a word go.
+
+    A null source is a source like any other, the last.
+    """
     return mixing.mixed(docs)
 
 
 def token_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every document of the mix, with the digests of ids and decoded text."""
+    """Token ids of every document of the mix, with the digests of ids and decoded text.
+
+    A null text has no ids.  Returns ``doc_id, lang, source, n_tokens, ids_sha256, decoded_sha256, ids``.
+    """
     return bpe.encode_corpus(docs.select("doc_id", "text", "lang", "source"), tokenizer_path(), keep=["doc_id", "lang", "source"])
 
 
@@ -68,7 +89,8 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, store = spark.read.parquet(f"{sf_dir}/documents.parquet"), Scratch(spark, "pipeline")
     before = None
     for _, stage in STAGES:
-        after = store.keep(stage(spark, docs, sf_dir))
+        with released(spark):
+            after = store.keep(stage(spark, docs, sf_dir))
         store.drop(before)
         docs = before = after
     return docs
