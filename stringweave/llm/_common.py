@@ -37,12 +37,14 @@ def per_text(df: DataFrame, make: Callable[[], Callable], out: T.StructType, tex
     ``make`` runs once per task and returns a function from a list of texts (bytes or
     None) to a dict of columns.  ``keep`` names the columns carried along, all by
     default; a carried column whose name clashes with a new one (whatever the case of
-    its letters) gives way to the new one.
+    its letters) gives way to the new one.  A text that is carried along is sent once.
     """
     new = {f.name.lower() for f in out}
     names = [c for c in (df.columns if keep is None else keep) if c.lower() not in new]
-    src = df.select(*[F.col(f"`{c}`") for c in names], F.col(f"`{text}`").cast("binary").alias("__text"))
+    once = text in names and isinstance(df.schema[text].dataType, T.StringType)
+    src = df.select(*[F.col(f"`{c}`") for c in names], *([] if once else [F.col(f"`{text}`").cast("binary").alias("__text")]))
     schema = T.StructType([src.schema[c] for c in names] + list(out))
+    at = names.index(text) if once else len(names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         work = None
@@ -50,10 +52,10 @@ def per_text(df: DataFrame, make: Callable[[], Callable], out: T.StructType, tex
             if not batch.num_rows:
                 continue
             work = work or make()
-            texts = batch.column(batch.num_columns - 1).to_pylist()
+            texts = batch.column(at).cast(pa.binary()).to_pylist()
             for a, b in blocks(texts):
                 got = work(texts[a:b])
-                arrays = [batch.column(i).slice(a, b - a) for i in range(batch.num_columns - 1)]
+                arrays = [batch.column(i).slice(a, b - a) for i in range(len(names))]
                 yield pa.RecordBatch.from_arrays(
                     [*arrays, *[pa.array(got[f.name], arrow_type(f.dataType)) for f in out]],
                     names=[*names, *[f.name for f in out]],

@@ -35,6 +35,8 @@ PER_DOCS = 2000
 LONG_WORD = 200
 #: Different words whose ids a worker remembers.
 MEMO_WORDS = 400_000
+#: The encoder that this worker used last, by the digest of its lexicon and vocabulary; the lexicon is mapped once per worker.
+_LAST: dict[str, tuple] = {}
 
 # Fixed value: the split pattern of the byte-level vocabulary, with the white-space class spelled out.
 _WS = r"\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
@@ -226,6 +228,7 @@ class Encoder:
     def __init__(self, vocabulary: Vocabulary, lexicon: Lexicon):
         self.v, self.lexicon, self.memo = vocabulary, lexicon, {}
         self.split = regex.compile(PATTERN).findall
+        self.marks = {s[0] for s in vocabulary.specials if s}
         self.special = regex.compile("(" + "|".join(map(regex.escape, sorted(vocabulary.specials, key=len, reverse=True))) + ")") if vocabulary.specials else None
 
     def _learn(self, new: list[str]) -> None:
@@ -240,7 +243,7 @@ class Encoder:
         """Ids of each text."""
         pieces = []
         for t in texts:
-            if self.special is not None and "<" in t:
+            if self.special is not None and any(c in t for c in self.marks):
                 pieces.append([x for i, part in enumerate(self.special.split(t)) for x in ([self.v.specials[part]] if i % 2 else self.split(part))])
             else:
                 pieces.append(self.split(t))
@@ -288,12 +291,15 @@ def encode_corpus(df: DataFrame, tokenizer_path: str, text: str = "text", keep:
     """
     spark = df.sparkSession
     vocabulary = Vocabulary(tokenizer_path)
-    shared = spark.sparkContext.broadcast((vocabulary, compile_lexicon(vocabulary, frequent_words(df, text)).dump()))
+    dumped = compile_lexicon(vocabulary, frequent_words(df, text)).dump()
+    shared, name = spark.sparkContext.broadcast((vocabulary, dumped)), hashlib.sha256(repr(tokenizer_path).encode() + dumped).hexdigest()
 
     def make():
-        voc, data = shared.value
-        coder = Encoder(voc, Lexicon.load(data))
-        digits = {i: str(i) for i in voc.tokens}
+        if name not in _LAST:
+            voc, data = shared.value
+            _LAST.clear()
+            _LAST[name] = Encoder(voc, Lexicon.load(data)), {i: str(i) for i in voc.tokens}
+        coder, digits = _LAST[name]
         sha = hashlib.sha256
 
         def work(texts):

@@ -6,8 +6,9 @@ small-world graph.  Every shard is then queried by every vector of the label: a
 holds two shards, searches each one's graph for the other's vectors (or its own), and
 verifies what it finds by cosine in double precision.  A beam that holds links widens
 through their neighbours; then an audit compares some queries with brute force, and
-while links are missing the beam is widened for all.  A task reports link counts and a
-spanning forest, both as long as its vectors; components are joined over all tasks.
+while links are missing the beam is widened for all; where it would be as wide as the shard,
+all nodes are compared.  A task reports link counts, a spanning forest, both as long as its
+vectors, and what its audits saw; components are joined over all tasks.
 
 Vectors that are null, zero or hold null or non-finite components, and rows with a null
 label or id, link with nothing: no links, a component of their own, kept.  Repeated rows
@@ -22,6 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from stringweave.llm.simhash import forest
 from stringweave.operators.contraction import contract_components
@@ -33,6 +35,8 @@ SHARD_ROWS = 8192
 DEGREE = 16
 BEAM = 64
 AUDIT_EVERY = 20
+#: Queries audited at least; a shard queried by no more is audited whole.
+AUDIT_LEAST = 64
 AUDIT_RECALL = 0.995
 
 
@@ -191,11 +195,15 @@ class Graph:
         return np.concatenate(found_q), np.concatenate(found_v)
 
 
-def search(graph: Graph, raw: np.ndarray, queries: np.ndarray, threshold: float = THRESHOLD, beam: int = BEAM, own: bool = False) -> tuple[np.ndarray, np.ndarray]:
-    """Verified (query, node) links; the beam is widened until the audit finds them nearly all."""
+def search(graph: Graph, raw: np.ndarray, queries: np.ndarray, threshold: float = THRESHOLD, beam: int = BEAM, own: bool = False) -> tuple[np.ndarray, np.ndarray, tuple[int, int, int]]:
+    """Verified (query, node) links, and the audit: links of the audited queries, those found, the last beam.
+
+    The beam starts at a quarter of a small shard, and is widened until the audit finds nearly all.
+    """
+    beam = min(beam, max(4, len(raw) // 4))
     unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
     q, v = unit(queries), unit(raw)
-    probe = np.arange(0, len(q), AUDIT_EVERY)
+    probe = np.arange(0, len(q), max(1, min(AUDIT_EVERY, len(q) // AUDIT_LEAST)))
     truth = int(sum((q[probe[a : a + 64]] @ v.T >= threshold).sum() for a in range(0, len(probe), 64)))
     if own:  # a vector's match with itself is no link
         truth -= int((np.einsum("nd,nd->n", q[probe], v[probe]) >= threshold).sum())
@@ -204,22 +212,23 @@ def search(graph: Graph, raw: np.ndarray, queries: np.ndarray, threshold: float
         # verified in double precision, as dot product over both norms
         ok = np.concatenate([np.einsum("nd,nd->n", queries[i[a : a + 65536]], raw[j[a : a + 65536]]) / (np.linalg.norm(queries[i[a : a + 65536]], axis=1) * np.linalg.norm(raw[j[a : a + 65536]], axis=1)) for a in range(0, len(i), 65536)] or [np.empty(0)]) >= threshold
         i, j = i[ok], j[ok]
-        if beam >= len(v) or (np.isin(i, probe) & ~(own & (i == j))).sum() >= AUDIT_RECALL * truth:
-            return i, j
+        found = int((np.isin(i, probe) & ~(own & (i == j))).sum())
+        if beam >= len(v) or found >= AUDIT_RECALL * truth:
+            return i, j, (truth, found, beam)
         beam *= 2
 
 
-_SHARD = "label int, shard int, keys array<string>, counts array<long>, vectors binary, graph binary"
+_SHARD = "label string, shard int, keys array<string>, counts array<long>, vectors binary, graph binary"
 
 
 def _build(table: pa.Table) -> pa.Table:
     """One shard's rows to one row with its graph."""
-    vectors = np.array(table["vector"].to_pylist(), np.float64)
+    vectors = np.array([scaled(v) for v in table["vector"].to_pylist()], np.float64)
     unit = vectors / np.linalg.norm(vectors, axis=1, keepdims=True)
     graph = Graph(unit)
     made = {"entry": graph.entry, "layers": graph.layers}
     return pa.table({
-        "label": pa.array([table["label"][0].as_py()], pa.int32()), "shard": pa.array([table["shard"][0].as_py()], pa.int32()),
+        "label": pa.array([table["label"][0].as_py()], pa.string()), "shard": pa.array([table["shard"][0].as_py()], pa.int32()),
         "keys": pa.array([table["key"].to_pylist()], pa.list_(pa.string())), "counts": pa.array([table["n"].to_pylist()], pa.list_(pa.int64())),
         "vectors": pa.array([vectors.tobytes()], pa.binary()), "graph": pa.array([pickle.dumps(made)], pa.binary()),
     })
@@ -235,11 +244,12 @@ def _load(row: dict) -> tuple[list, np.ndarray, np.ndarray, Graph]:
 
 
 def _meet(table: pa.Table) -> pa.Table:
-    """One shard, or two: link counts and a spanning forest of their nodes."""
+    """One shard, or two: link counts and a spanning forest of their nodes, and a row without a key with the audit."""
     rows = sorted(table.to_pylist(), key=lambda r: r["shard"])
     keys, counts, raw, graph = _load(rows[0])
+    audit = np.zeros(3, np.int64)
     if len(rows) == 1 and rows[0]["lo"] == rows[0]["hi"]:
-        i, j = search(graph, raw, raw, own=True)
+        i, j, audit = search(graph, raw, raw, own=True)
         n = len(keys)
     elif len(rows) == 1:
         i = j = np.empty(0, np.int64)
@@ -248,8 +258,9 @@ def _meet(table: pa.Table) -> pa.Table:
         keys2, counts2, raw2, graph2 = _load(rows[1])
         n1 = len(keys)
         if raw.shape[1] == raw2.shape[1]:
-            a, b = search(graph, raw, raw2)
-            c, d = search(graph2, raw2, raw)
+            a, b, one = search(graph, raw, raw2)
+            c, d, two = search(graph2, raw2, raw)
+            audit = (one[0] + two[0], one[1] + two[1], max(one[2], two[2]))
             i, j = np.concatenate([a + n1, c]), np.concatenate([b, d + n1])
         else:
             i = j = np.empty(0, np.int64)
@@ -260,25 +271,30 @@ def _meet(table: pa.Table) -> pa.Table:
     links = np.bincount(i, counts[j], n) + np.bincount(j, counts[i], n)
     root = forest(n, i, j)
     some = np.nonzero(links > 0)[0]
+    told = [pa.array([None] * len(some) + [int(x)], pa.int64()) for x in audit]
     return pa.table({
-        "key": pa.array([keys[x] for x in some], pa.string()), "links": pa.array(links[some].astype(np.int64)), "root": pa.array([keys[x] for x in root[some]], pa.string()),
+        "key": pa.array([*[keys[x] for x in some], None], pa.string()), "links": pa.array([*links[some].astype(np.int64).tolist(), None], pa.int64()),
+        "root": pa.array([*[keys[x] for x in root[some]], None], pa.string()), "probed": told[0], "caught": told[1], "beam": told[2],
     })
 
 
-def near_duplicates(df: DataFrame, vec: str = "embedding", vec_id: str = "vec_id", label: str = "label") -> DataFrame:
-    """``(vec_id, n_links, component_id, kept)``, a row per row of ``df``.
+def scaled(vector: list) -> list:
+    """A vector times a power of two that brings its largest component near 1: same cosines, no overflow."""
+    v = np.asarray(vector, np.float64)
+    return np.ldexp(v, -int(np.frexp(np.abs(v).max())[1]))
 
-    Vectors of a label with other lengths than most link only with their own length's, as each
-    length is sharded apart.
-    """
-    store = Scratch(df.sparkSession, "embeddings")
-    e = F.transform(F.col(vec), lambda x: x.cast("float") + F.lit(0.0).cast("float"))
+
+def _linked(df: DataFrame, store: Scratch, vec: str, vec_id: str, label: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Rows with the key of their class, classes of equal vectors of a label, and what the shards' graphs found."""
+    e = F.transform(F.col(vec), lambda x: x.cast("double") + F.lit(0.0))
     good = (
         F.col(vec).isNotNull() & F.col(label).isNotNull() & F.col(vec_id).isNotNull()
-        & F.forall(F.col(vec), lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
+        & F.forall(F.col(vec), lambda x: x.isNotNull() & ~F.isnan(x.cast("double")) & (F.abs(x.cast("double")) < float("inf")))
         & F.exists(F.col(vec), lambda x: x != 0)
     )
-    rows = df.select(F.col(vec_id).alias("vec_id"), F.col(label).cast("int").alias("label"), e.alias("vector"), F.coalesce(good, F.lit(False)).alias("good"))
+    kind = df.schema[label].dataType
+    mark = F.col(label) + F.lit(0).cast(kind) if isinstance(kind, (T.FloatType, T.DoubleType)) else F.col(label)  # -0.0 equals 0.0
+    rows = df.select(F.col(vec_id).alias("vec_id"), mark.cast("string").alias("label"), e.alias("vector"), F.coalesce(good, F.lit(False)).alias("good"))
     rows = rows.withColumn("key", F.when(F.col("good"), F.concat(*[F.lpad(F.hex(F.xxhash64("label", "vector", F.lit(s))), 16, "0") for s in (0, 1)])))
     classes = store.keep(
         rows.where("good").withColumn("size", F.size("vector")).groupBy("label", "size", "key").agg(F.first("vector").alias("vector"), F.count("*").alias("n"), F.min("vec_id").alias("least"))
@@ -291,9 +307,27 @@ def near_duplicates(df: DataFrame, vec: str = "embedding", vec_id: str = "vec_id
         .withColumn("lo", F.least("shard", "other"))
         .withColumn("hi", F.greatest("shard", "other"))
         .groupBy("label", "size", "lo", "hi")
-        .applyInArrow(_meet, "key string, links long, root string")
+        .applyInArrow(_meet, "key string, links long, root string, probed long, caught long, beam long")
     )
-    found = store.keep(meet)
+    return rows, classes, store.keep(meet)
+
+
+def recall(df: DataFrame, vec: str = "embedding", vec_id: str = "vec_id", label: str = "label") -> DataFrame:
+    """What the audits saw: ``(shard_pairs, probed, caught, recall, widest_beam)``; recall is 1 where there was no link."""
+    found = _linked(df, Scratch(df.sparkSession, "recall"), vec, vec_id, label)[2].where("probed is not null")
+    total = found.agg(F.count("*").alias("shard_pairs"), F.coalesce(F.sum("probed"), F.lit(0)).alias("probed"), F.coalesce(F.sum("caught"), F.lit(0)).alias("caught"), F.coalesce(F.max("beam"), F.lit(0)).alias("widest_beam"))
+    return total.select("shard_pairs", "probed", "caught", F.coalesce(F.try_divide("caught", "probed"), F.lit(1.0)).alias("recall"), "widest_beam")
+
+
+def near_duplicates(df: DataFrame, vec: str = "embedding", vec_id: str = "vec_id", label: str = "label") -> DataFrame:
+    """``(vec_id, n_links, component_id, kept)``, a row per row of ``df``; labels may be of any type that casts to a string.
+
+    Vectors of a label with other lengths than most link only with their own length's, as each
+    length is sharded apart.
+    """
+    store = Scratch(df.sparkSession, "embeddings")
+    rows, classes, found = _linked(df, store, vec, vec_id, label)
+    found = found.where("key is not null")
     roots = contract_components(df.sparkSession, found.select("key", "root")).select(F.col("v").alias("key"), "root")
     joined = store.keep(
         classes.select("key", "n", "least").join(roots, "key", "left").join(found.groupBy("key").agg(F.sum("links").alias("links")), "key", "left")

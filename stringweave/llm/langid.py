@@ -10,7 +10,9 @@ For scoring, a filter's answer to two neighbouring bytes is read from a table of
 65,536 pairs; wider filters add two such tables.  That is the same sum as the
 convolution, without the arithmetic.
 
-A text that is null or has no letter is ``und`` with score 0.
+A text that is null or has no letter is ``und`` with score 0.  Training takes the labelled
+documents first by a hash of their id, then by id, label and bytes, so reruns learn the same
+from repeated ids too.
 """
 
 from __future__ import annotations
@@ -41,7 +43,7 @@ def training_windows(df: DataFrame, text: str = "text", lang: str = "lang", doc_
     limit = able.select("h").count() / (2 * n)
     if limit > 1:
         able = able.where(F.col("h") < int(-(2.0**63) + 2.0**64 / limit))
-    rows = able.select("h", F.col(doc_id).alias("id"), F.col(lang).alias("lang"), F.array(*cuts).alias("cuts")).orderBy("h", "id").limit(n).collect()
+    rows = able.select("h", F.col(doc_id).alias("id"), F.col(lang).alias("lang"), F.array(*cuts).alias("cuts")).orderBy("h", "id", "lang", "cuts").limit(n).collect()
     found, labels = [], []
     for r in rows:
         for c in dict.fromkeys(map(bytes, r.cuts)):

@@ -1,12 +1,15 @@
 """Quality rules with verdicts by host.
 
-A document's rule counts are taken from its whole text.  Failures are summed by
-host (one partial aggregate per task, so a host with a third of all rows is one
-row per task), each host's rate is shrunk towards the corpus by a beta prior whose
-two parameters are fitted to the hosts' rates by moments, and the verdict of a
-host, a table of one row per host, is joined back to its documents.
-
-A null text has no words and fails; a null host is a host of its own.
+A document's rule counts are taken from its whole text.  It fails hard (``base_failed``)
+or soft (``soft_failed``: many symbols for its words, or words of unlikely length).
+Failures of either kind are summed by host (one partial aggregate per task, so a host
+with a third of all rows is one row per task), each host's rate is shrunk towards the
+corpus by a beta prior whose two parameters are fitted to the hosts' rates by moments,
+and the verdict of a host, a table of one row per host, is joined back to its documents:
+a trusted host's soft failures stay, a strict host's go, and of a blocked host all go.
+
+A null text has no words and fails; a null host is a host of its own; repeated rows count
+as documents of their own.
 """
 
 from __future__ import annotations
@@ -23,8 +26,13 @@ from stringweave.session import Scratch
 WINDOW = 8
 MIN_WORDS = 20
 REPEAT_PERCENT = 30
+#: Soft rules: symbols for every hundred words, and letters of a word on average, least and most.
+SYMBOL_PERCENT = 10
+WORD_LETTERS = (2, 12)
 #: A host goes when its shrunken failure rate is above this.
 MAX_HOST_RATE = 0.5
+#: A host is trusted up to this shrunken failure rate; above it, soft failures go.
+TRUSTED_HOST_RATE = 0.05
 SYMBOLS = "#*$%&|<>"
 _SPACE = " \t\n\r\x0b\x0c"
 
@@ -55,7 +63,7 @@ def repeated_words(ids: np.ndarray, doc: np.ndarray, k: int = WINDOW) -> np.ndar
 
 
 def rule_counts(df: DataFrame, text: str = "text", keep: list[str] | None = None) -> DataFrame:
-    """Append n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words and base_failed."""
+    """Append n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed and soft_failed."""
     names = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
     def make():
@@ -74,22 +82,24 @@ def rule_counts(df: DataFrame, text: str = "text", keep: list[str] | None = None
                 rows = [x for x in s.split("\n") if x.strip(_SPACE)]
                 lines.append(len(rows) - len(set(rows)))
             failed = (count < MIN_WORDS) | (100 * repeat > REPEAT_PERCENT * count)
-            return dict(zip(names, (count, chars, marks, lines, repeat.astype(np.int64)))) | {"base_failed": failed}
+            size, low, high = np.array(chars, np.int64), *(n * count for n in WORD_LETTERS)
+            soft = (100 * np.array(marks, np.int64) > SYMBOL_PERCENT * count) | (size < low) | (size > high)
+            return dict(zip(names, (count, chars, marks, lines, repeat.astype(np.int64)))) | {"base_failed": failed, "soft_failed": soft}
 
         return work
 
-    return per_text(df, make, fields(", ".join(f"{n} long" for n in names) + ", base_failed boolean"), text, keep)
+    return per_text(df, make, fields(", ".join(f"{n} long" for n in names) + ", base_failed boolean, soft_failed boolean"), text, keep)
 
 
 def host_rates(rows: DataFrame, host: str = "source") -> DataFrame:
-    """Per host: documents, failures and the shrunken failure rate.
+    """Per host: documents, failures of any kind and the shrunken failure rate.
 
     The prior's mean is the corpus's rate m.  Its strength s comes from the spread of the
     hosts' rates beyond what chance gives: with variance v between hosts, s = m(1-m)/v - 1,
     at least 1; no spread beyond chance means a strength of a million, so that every host is
     judged by the corpus.
     """
-    hosts = rows.groupBy(F.col(host).alias("host")).agg(F.count("*").alias("n"), F.sum(F.col("base_failed").cast("long")).alias("failed"))
+    hosts = rows.groupBy(F.col(host).alias("host")).agg(F.count("*").alias("n"), F.sum((F.col("base_failed") | F.col("soft_failed")).cast("long")).alias("failed"))
     total = hosts.agg(
         F.sum("n").alias("docs"), F.sum("failed").alias("bad"), F.count("*").alias("hosts"), F.sum(F.col("failed") * F.col("failed") / F.col("n")).alias("squares")
     ).first()
@@ -100,15 +110,19 @@ def host_rates(rows: DataFrame, host: str = "source") -> DataFrame:
     return hosts.select("host", "n", "failed", ((F.col("failed") + mean * strength) / (F.col("n") + strength)).alias("rate"))
 
 
-def judge(df: DataFrame, text: str = "text", host: str = "source", keep: list[str] | None = None, max_rate: float = MAX_HOST_RATE) -> DataFrame:
-    """Append the rule counts, ``base_failed`` and ``kept``.
+def judge(
+    df: DataFrame, text: str = "text", host: str = "source", keep: list[str] | None = None, max_rate: float = MAX_HOST_RATE, trusted_rate: float = TRUSTED_HOST_RATE
+) -> DataFrame:
+    """Append the rule counts, ``base_failed``, ``soft_failed`` and ``kept``.
 
-    ``kept`` is false for a failed document and for documents of hosts whose shrunken
-    failure rate is above ``max_rate``.
+    ``kept`` is false for a hard failure, for every document of a host whose shrunken failure rate
+    is above ``max_rate``, and for a soft failure of a host above ``trusted_rate``.
     """
     store = Scratch(df.sparkSession, "quality")
     cols = keep if keep is not None else df.columns
     rows = store.keep(rule_counts(df.withColumn("__host", F.col(host)), text, [*cols, "__host"]))
-    bad = host_rates(rows, "__host").where(F.col("rate") > max_rate).select(F.col("host").alias("__bad"), F.lit(True).alias("__goes"))
-    out = rows.join(bad, rows["__host"].eqNullSafe(bad["__bad"]), "left")
-    return out.withColumn("kept", ~F.col("base_failed") & F.col("__goes").isNull()).drop("__host", "__bad", "__goes")
+    rates = host_rates(rows, "__host")
+    watched = rates.where(F.col("rate") > min(trusted_rate, max_rate)).select(F.col("host").alias("__watched"), (F.col("rate") > max_rate).alias("__all"), (F.col("rate") > trusted_rate).alias("__soft"))
+    out = rows.join(watched, rows["__host"].eqNullSafe(watched["__watched"]), "left")
+    goes = F.col("base_failed") | F.coalesce("__all", F.lit(False)) | F.coalesce("__soft", F.lit(False)) & F.col("soft_failed")
+    return out.withColumn("kept", ~goes).drop("__host", "__watched", "__all", "__soft")

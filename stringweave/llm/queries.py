@@ -9,8 +9,8 @@ from stringweave.llm._common import held_out, table
 
 #: Where the public tokenizer's file is; a parameter of the query.
 TOKENIZER = None
-#: Hosts whose pages stand for a list of URLs to block: the list is no part of the tables.
-LISTED_HOSTS = "(casino|adult|bets)"
+#: Text files of canonical URLs to block, one a line; a parameter of the query.  The tables hold no such list.
+BLOCK_LIST = None
 
 
 def tokenizer_path() -> str:
@@ -47,7 +47,7 @@ def op5_pii(spark, sf_dir):
 
 def op6_host_rules(spark, sf_dir):
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "source")
-    return quality.judge(docs, keep=["doc_id"])
+    return quality.judge(docs, keep=["doc_id"]).drop("soft_failed")
 
 
 def op7_embeddings(spark, sf_dir):
@@ -55,9 +55,16 @@ def op7_embeddings(spark, sf_dir):
 
 
 def listed_urls(pages):
-    """Stand-in for a block list: the canonical URLs of pages on hosts named LISTED_HOSTS."""
+    """The block list of BLOCK_LIST, or a stand-in for one, drawn by digest and blind to the words of a URL.
+
+    The stand-in holds every canonical URL of the table whose md5 begins with 0, so a host has listed and
+    unlisted pages, and for each of them one that no page has.
+    """
+    if BLOCK_LIST:
+        return pages.sparkSession.read.text(BLOCK_LIST).select(F.trim("value").alias("url")).where("url <> ''")
     host, path = urls.host_path(F.col("url"))
-    return pages.select(host.alias("h"), path.alias("p")).where(F.col("h").rlike(LISTED_HOSTS)).select(urls.canonical(F.col("h"), F.col("p")).alias("url"))
+    known = pages.select(urls.canonical(host, path).alias("url")).where(F.md5(F.col("url").cast("binary")).startswith("0")).distinct()
+    return known.select(F.explode(F.array("url", F.concat("url", F.lit("/gone")))).alias("url"))
 
 
 def op8_url_filter(spark, sf_dir):
@@ -90,6 +97,42 @@ QUERIES = {
 _WORDS = r"regexp_extract_all(coalesce({}, ''), '[^\x20\x09-\x0D]+')"
 
 SQL = {
+    "op3_tool_calls": """
+with recursive c as (
+  select conv_id::bigint as conv_id, turn::bigint as turn, role, text, substr(md5(conv_id::varchar || ':' || turn::varchar), 1, 1) as g,
+    substr(md5(conv_id::varchar || ':' || (turn - 2)::varchar), 1, 1) as g2 from conversations),
+ev as (
+  select conv_id, turn * 2 + again as pos, turn, role, text, g, case role when 'user' then 'call' when 'assistant' then 'result' else coalesce(role, 'message') end as kind,
+    case when role = 'user' then conv_id::varchar || '-' || turn::varchar
+      when role = 'assistant' then conv_id::varchar || '-' || (turn - 1)::varchar || case when g = '0' then '-lost' else '' end end as call_id,
+    case when role = 'user' then list_sort(list_filter([
+      case when g2 not in ('2', '3') then conv_id::varchar || '-' || (turn - 2)::varchar end,
+      case when g in ('2', '3', '4') then conv_id::varchar || '-' || (turn + 2)::varchar end], lambda x: x is not null)) else []::varchar[] end as waits
+  from c, (select unnest([0, 1])::bigint as again) where again = 0 or (role = 'assistant' and g = '1')),
+first as (
+  select conv_id, call_id, min(pos) filter (kind = 'call') as call_pos, min(pos) filter (kind = 'result') as result_pos from ev where call_id is not null group by 1, 2),
+calls as (select conv_id, call_id, min(pos) as pos, arg_min(waits, pos) as waits from ev where kind = 'call' group by 1, 2),
+deps as (
+  select a.conv_id, a.call_id, a.pos, b.call_id as dep, b.pos as dep_pos from (select conv_id, call_id, pos, unnest(waits) as dep from calls) a
+  join calls b on b.conv_id = a.conv_id and b.call_id = a.dep),
+late as (select conv_id, count(*) as m from calls where conv_id in (select conv_id from deps where dep_pos >= pos) group by 1),
+walk(conv_id, call_id, here, n, m) as (
+  select conv_id, call_id, call_id, 0, m from calls join late using (conv_id)
+  union select w.conv_id, w.call_id, d.dep, w.n + 1, w.m from walk w join deps d on d.conv_id = w.conv_id and d.call_id = w.here where w.n < w.m),
+deep as (select conv_id, call_id, case when max(n) >= max(m) then -1 else max(n) end as depth from walk group by 1, 2),
+j as (
+  select ev.*, call_pos, result_pos, coalesce(depth, 0)::int as depth, case when kind <> 'call' then '' when g = '0' then '$.chars: not integer' when g = '1' then '$.prompt: missing' else '' end as errors
+  from ev left join first using (conv_id, call_id) left join deep using (conv_id, call_id))
+select conv_id, pos, kind, call_id, case kind when 'call' then result_pos when 'result' then call_pos end as partner,
+  case when kind not in ('call', 'result') then 'message' when kind = 'call' and pos > call_pos or kind = 'result' and pos > result_pos then 'repeated'
+    when kind = 'call' and result_pos is null then 'unanswered' when kind = 'result' and call_pos is null then 'orphan' else 'linked' end as status,
+  depth, errors = '' as valid, errors,
+  case when kind = 'call' then '{' || case when len(waits) > 0 then '"after":' || to_json(waits)::varchar || ',' else '' end || '"arguments":{"chars":'
+      || case when g = '0' then '"' || length(text)::varchar || '"' else length(text)::varchar end || case when g = '1' then '' else ',"prompt":' || to_json(text)::varchar end
+      || ',"turn":' || turn::varchar || '},"id":"' || call_id || '","name":"reply","role":"call"}'
+    when kind = 'result' then '{"content":' || to_json(text)::varchar || ',"id":"' || call_id || '","name":"reply","role":"result"}'
+    else '{"content":' || to_json(text)::varchar || ',"role":"' || kind || '"}' end as json
+from j""",
     "op6_host_rules": rf"""
 with d as (select doc_id, source, coalesce(text, '') as t, {_WORDS.format("text")} as w from documents),
 numbered as (select row_number() over () as k, * from d),
@@ -104,16 +147,17 @@ gram as (select k, i, array_to_string(w[i:i+7], ' ') as g from windows),
 twice as (select k, i from (select k, i, count(*) over (partition by k, g) as c from gram) where c > 1),
 inside as (select k, count(distinct i + o)::bigint as n from twice, (select unnest(range(0, 8)) as o) group by k),
 r as (
-  select b.*, coalesce(n, 0)::bigint as n_repeat_words, (n_words < 20 or 100 * coalesce(n, 0) > 30 * n_words) as base_failed
+  select b.*, coalesce(n, 0)::bigint as n_repeat_words, (n_words < 20 or 100 * coalesce(n, 0) > 30 * n_words) as base_failed,
+    (10 * n_symbols > n_words or word_chars < 2 * n_words or word_chars > 12 * n_words) as soft_failed
   from base b left join inside using (k)),
-h as (select source, count(*)::double as n, sum(base_failed::int)::double as f from r group by source),
+h as (select source, count(*)::double as n, sum((base_failed or soft_failed)::int)::double as f from r group by source),
 m as (select sum(f) / sum(n) as m, sum(n) as docs, count(*) as hosts, sum(f * f / n) as sq from h),
 v as (select m, sq / docs - m * m - m * (1 - m) * hosts / docs as v from m),
 s as (select m, case when v > 0 then greatest(1, least(1e6, m * (1 - m) / v - 1)) else 1e6 end as s from v),
-bad as (select source from h, s where (f + m * s) / (n + s) > 0.5)
+rate as (select source, (f + m * s) / (n + s) as rate from h, s)
 select doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
-  (not base_failed and not exists (select 1 from bad where bad.source is not distinct from r.source)) as kept
-from r""",
+  (not base_failed and rate <= 0.5 and not (soft_failed and rate > 0.05)) as kept
+from r join rate on rate.source is not distinct from r.source""",
     "op7_embeddings": """
 with recursive e as (
   select vec_id, label, list_transform(embedding, lambda x: x::double) as v from embeddings),
@@ -135,8 +179,9 @@ rules(h, p, v) as (values ('net', '/', 'block'), ('example.net', '/en/', 'allow'
 fit as (
   select page_id, host, path, (select max_by(h || rules.p, length(h || rules.p)) from rules
     where (host = h or ends_with(host, '.' || h)) and starts_with(p.path, rules.p)) as rule from p),
-listed as (
-  select distinct regexp_replace(host, '^(www|m)\.', '') || regexp_replace(path, '(\.html|/)+$', '') as url from p where regexp_matches(host, '(casino|adult|bets)'))
+c as (select page_id, regexp_replace(host, '^(www|m)\.', '') || regexp_replace(path, '(\.html|/)+$', '') as canon from p),
+drawn as (select distinct canon from c where md5(canon) like '0%'),
+listed as (select canon as url from drawn union select canon || '/gone' from drawn)
 select page_id, host, path, rule,
   coalesce((select v from rules where h || rules.p = rule),
     case when regexp_replace(host, '^(www|m)\.', '') || regexp_replace(path, '(\.html|/)+$', '') in (select url from listed) then 'block' else 'allow' end) as verdict

@@ -1,14 +1,16 @@
 """Near duplicates by 64-bit SimHash, with pivot distance tables.
 
 A fingerprint takes one whole text.  Equal fingerprints are one node, so copies
-never meet each other.  Pairs of different fingerprints are brought together by
-bands (some band of a close pair is equal bit for bit), and inside a band bucket
-they are judged by their pivot table: the Hamming distances of every fingerprint
-to many reference fingerprints.  By the triangle inequality a pair whose
-coordinates differ by more than the radius at any reference cannot be close; it
-is discarded without being compared.  Survivors are verified bit by bit.  What a
-bucket reports is a spanning forest of its close pairs, so the links written
-follow the nodes, not the pairs.
+never meet each other.  Different fingerprints meet in band buckets (some band of a
+close pair is equal bit for bit), as a reference alone gives no key that an equi-join
+could use.  A bucket is judged by its pivot table: the Hamming distances of every
+fingerprint to many reference fingerprints.  By the triangle inequality a pair whose
+coordinates differ by more than the radius at any reference cannot be close.  The bucket
+is sorted by its first coordinate, pairs outside the window of that radius are never
+formed, and those whose largest difference over the other coordinates is above it are
+discarded.  Survivors are verified bit by bit.  What a bucket reports is a spanning forest
+of its close pairs, so the links written follow the nodes, not the pairs, and how many
+pairs each step left.
 
 Nulls and empty texts have the fingerprint zero, which links like any other.
 Rows with a null id take part; their component has the smallest id that is not
@@ -72,37 +74,55 @@ def fingerprints(df: DataFrame, text: str = "text", keep: list[str] | None = Non
     return per_text(df, make, fields("fp long"), text, keep)
 
 
-def band_masks(n: int) -> list[int]:
+#: Blocks of bits by the fingerprints below which they serve; any number above RADIUS finds every link.
+BLOCKS = ((1 << 22, 5), (1 << 30, 6), (1 << 62, 8))
+
+
+def band_masks(n: int, blocks: int | None = None) -> list[int]:
     """Masks such that two fingerprints within the radius agree under one of them at least.
 
-    The bits fall into some blocks; a mask keeps all but RADIUS of them.  More blocks
-    keep more bits, so that the buckets stay small as the fingerprints grow in number.
+    The bits fall into ``blocks``, by default those of BLOCKS for ``n`` fingerprints; a mask keeps all
+    but RADIUS of them.  More blocks keep more bits, so that the buckets stay small as the
+    fingerprints grow in number; the links are the same with any number.
     """
-    parts = 5 if n < 1 << 22 else 6 if n < 1 << 30 else 8
+    parts = blocks or next(b for below, b in BLOCKS if n < below)
     edges = [64 * i // parts for i in range(parts + 1)]
     block = [((1 << edges[i + 1]) - 1) ^ ((1 << edges[i]) - 1) for i in range(parts)]
     return [sum(block[i] for i in kept) for kept in combinations(range(parts), parts - RADIUS)]
 
 
-def close_pairs(left: np.ndarray, right: np.ndarray, table_l: np.ndarray, table_r: np.ndarray, same: bool, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray]:
-    """Positions of the close pairs of two arrays of fingerprints, by their pivot tables."""
-    out_i, out_j = [], []
-    step = max(1, 4_000_000 // max(1, len(right)))
-    for at in range(0, len(left), step):
-        near = np.abs(table_l[at : at + step, :1].astype(np.int16) - table_r[:, 0]) <= radius
-        if same:
-            near &= np.arange(at, at + near.shape[0])[:, None] < np.arange(len(right))
-        i, j = np.nonzero(near)
-        i += at
+def close_pairs(left: np.ndarray, right: np.ndarray, table_l: np.ndarray, table_r: np.ndarray, same: bool, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray, int, int]:
+    """Positions of the close pairs of two arrays of fingerprints, by their pivot tables.
+
+    Also returns how many pairs the window of the first coordinate formed, and how many the whole
+    table left to be verified.  With ``same`` both arrays are one, and each pair is formed once.
+    """
+    by = np.argsort(table_r[:, 0], kind="stable")
+    line = table_r[by, 0].astype(np.int16)
+    if same:
+        own, first = by, np.arange(1, len(by) + 1)
+        until = np.searchsorted(line, line + radius, "right")
+    else:
+        own, at = np.arange(len(left)), table_l[:, 0].astype(np.int16)
+        first, until = np.searchsorted(line, at - radius, "left"), np.searchsorted(line, at + radius, "right")
+    room = np.maximum(until - first, 0)
+    upto = np.concatenate(([0], np.cumsum(room)))
+    out_i, out_j, formed, kept, a = [], [], int(upto[-1]), 0, 0
+    while a < len(own):
+        b = max(a + 1, int(np.searchsorted(upto, upto[a] + 2_000_000, "right")) - 1)
+        n = room[a:b]
+        i, j = np.repeat(own[a:b], n), by[np.arange(upto[b] - upto[a]) + np.repeat(first[a:b] - upto[a:b] + upto[a], n)]
         for p in range(1, table_l.shape[1]):
             if not len(i):
                 break
             ok = np.abs(table_l[i, p].astype(np.int16) - table_r[j, p]) <= radius
             i, j = i[ok], j[ok]
+        kept += len(i)
         ok = np.bitwise_count(left[i] ^ right[j]) <= radius
         out_i.append(i[ok])
         out_j.append(j[ok])
-    return np.concatenate(out_i or [np.empty(0, np.int64)]), np.concatenate(out_j or [np.empty(0, np.int64)])
+        a = b
+    return np.concatenate(out_i or [np.empty(0, np.int64)]), np.concatenate(out_j or [np.empty(0, np.int64)]), formed, kept
 
 
 def forest(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
@@ -120,37 +140,44 @@ def forest(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
     return root
 
 
+LINKS = "a long, b long, pairs long, formed long, verified long"
+
+
 def _judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Links of each group of one partition; a group's rows follow one another."""
     refs, rest = pivots(), None
-    names = ["a", "b"]
+    names = [f.split()[0] for f in LINKS.split(", ")]
 
-    def links(fps: np.ndarray, side: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def links(fps: np.ndarray, side: np.ndarray) -> tuple[np.ndarray, np.ndarray, tuple[int, int, int]]:
         tables = np.bitwise_count(fps[:, None] ^ refs).astype(np.int8)
         if side.all() or not side.any():
-            i, j = close_pairs(fps, fps, tables, tables, True)
+            i, j, formed, kept = close_pairs(fps, fps, tables, tables, True)
+            pairs = len(fps) * (len(fps) - 1) // 2
         else:
             li, ri = np.nonzero(side == 0)[0], np.nonzero(side == 1)[0]
-            i, j = close_pairs(fps[li], fps[ri], tables[li], tables[ri], False)
-            i, j = li[i], ri[j]
+            i, j, formed, kept = close_pairs(fps[li], fps[ri], tables[li], tables[ri], False)
+            i, j, pairs = li[i], ri[j], len(li) * len(ri)
         root = forest(len(fps), i, j)
         moved = np.nonzero(root != np.arange(len(fps)))[0]
-        return fps[root[moved]], fps[moved]
+        return fps[root[moved]], fps[moved], (pairs, formed, kept)
 
     def groups(keys, fps, sides, last: bool):
         cut = np.nonzero(np.any(keys[1:] != keys[:-1], axis=1))[0] + 1
         bounds = [0, *cut.tolist(), len(keys)]
         done = bounds if last else bounds[:-1]
-        a, b = [], []
+        a, b, told = [], [], np.zeros(3, np.int64)
         for lo, hi in zip(done, done[1:]):
             if hi - lo > 1:
-                x, y = links(fps[lo:hi], sides[lo:hi])
+                x, y, counts = links(fps[lo:hi], sides[lo:hi])
                 a.append(x)
                 b.append(y)
-        return np.concatenate(a or [np.empty(0, np.uint64)]), np.concatenate(b or [np.empty(0, np.uint64)]), bounds[-2]
+                told += counts
+        return np.concatenate(a or [np.empty(0, np.uint64)]), np.concatenate(b or [np.empty(0, np.uint64)]), told, bounds[-2]
 
-    def emit(a, b):
-        return pa.RecordBatch.from_arrays([pa.array(a.astype(np.int64)), pa.array(b.astype(np.int64))], names=names)
+    def emit(a, b, told):
+        """The links, and a row without ends that holds the counts."""
+        ends = [pa.array([*x.astype(np.int64).tolist(), None], pa.int64()) for x in (a, b)]
+        return pa.RecordBatch.from_arrays([*ends, *[pa.array([0] * len(a) + [int(n)], pa.int64()) for n in told]], names=names)
 
     for batch in batches:
         if not batch.num_rows:
@@ -159,20 +186,22 @@ def _judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part = [np.stack(cols[:4], axis=1), cols[4].astype(np.uint64), cols[5]]
         if rest is not None:
             part = [np.concatenate(x) for x in zip(rest, part)]
-        a, b, at = groups(*part, last=False)
+        a, b, told, at = groups(*part, last=False)
         rest = [x[at:] for x in part]
-        if len(a):
-            yield emit(a, b)
+        if told[0]:
+            yield emit(a, b, told)
     if rest is not None:
-        a, b, _ = groups(*rest, last=True)
-        yield emit(a, b)
+        a, b, told, _ = groups(*rest, last=True)
+        yield emit(a, b, told)
 
 
 def links(nodes: DataFrame, n: int) -> DataFrame:
-    """A spanning set of the close pairs among distinct fingerprints ``fp``.
+    """A spanning set of the close pairs among distinct fingerprints ``fp``: ``(a, b, pairs, formed, verified)``.
 
-    Band buckets larger than PIECE are cut by a hash into pieces, and each two pieces
-    form a group, so that no group and no task grows with a bucket.
+    Rows without ends count what the judged groups held: all their pairs, those that the first pivot's
+    window formed, and those that the whole table left to be verified; ``discards`` sums them.
+    Band buckets larger than PIECE are cut by a hash into pieces, and each two pieces form a group, so
+    that no group and no task grows with a bucket.
     """
     spark = nodes.sparkSession
     masks = band_masks(n)
@@ -194,7 +223,12 @@ def links(nodes: DataFrame, n: int) -> DataFrame:
     parts = task_count(spark, n * len(masks), 1_000_000)
     key = ["band", "value", "lo", "hi"]
     grouped = cut.repartition(parts, *key).sortWithinPartitions(*key)
-    return grouped.mapInArrow(_judge, "a long, b long")
+    return grouped.mapInArrow(_judge, LINKS)
+
+
+def discards(found: DataFrame) -> DataFrame:
+    """``(pairs, formed, verified)`` of what ``links`` returned: how much the pivots discard."""
+    return found.agg(*[F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("pairs", "formed", "verified")])
 
 
 def near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id", keep: list[str] | None = None) -> DataFrame:
@@ -210,7 +244,7 @@ def near_duplicates(df: DataFrame, text: str = "text", doc_id: str = "doc_id", k
     nodes = store.keep(rows.groupBy("fp").agg(F.min(doc_id).alias("least_id")))
     n = nodes.count()
     found = store.keep(links(nodes.select("fp"), n))
-    labels = contract_components(spark, found)
+    labels = contract_components(spark, found.select("a", "b"))
     roots = nodes.join(labels.select(F.col("v").alias("fp"), "root"), "fp", "left").select("fp", "least_id", F.coalesce("root", "fp").alias("root"))
     roots = store.keep(roots)
     least = store.keep(roots.groupBy("root").agg(F.min("least_id").alias("component_id")))

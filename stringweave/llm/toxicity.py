@@ -37,6 +37,8 @@ THRESHOLD = 0.7
 #: Labelled documents used for training at most, of either class.
 TRAIN_TOXIC = 800
 TRAIN_CLEAN = 1600
+#: Longest text used for training, in bytes; with the numbers above it bounds what the driver holds.
+TRAIN_BYTES = 1 << 16
 ROUNDS = 4
 _SHAPES = [(0, *c) for size in (2, 3) for c in combinations(range(1, SPAN), size)]
 
@@ -234,7 +236,8 @@ def score_texts(texts: list, model: dict) -> np.ndarray:
 def labelled(documents: DataFrame, labels: DataFrame, label: str = "toxic", n_toxic: int = TRAIN_TOXIC, n_clean: int = TRAIN_CLEAN) -> tuple[list, list]:
     """Whole texts of labelled documents that aren't held out, first by a hash of their id, up to the bounds.
 
-    An id labelled both ways counts as toxic; of documents with one id the first text by code point is taken.
+    An id labelled both ways counts as toxic; of documents with one id the first text by code point is
+    taken.  Texts above TRAIN_BYTES are scored like any other but teach nothing.
     """
     known = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out("doc_id")).groupBy("doc_id").agg(F.max(label).alias("y"))
     pick = lambda y, n: known.where(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)
@@ -242,6 +245,7 @@ def labelled(documents: DataFrame, labels: DataFrame, label: str = "toxic", n_to
     rows = (
         documents.select("doc_id", F.col("text").cast("binary").alias("text"))
         .join(F.broadcast(chosen), "doc_id")  # n_toxic + n_clean rows at most
+        .where(F.octet_length("text") <= TRAIN_BYTES)
         .groupBy("doc_id", "y").agg(F.min("text").alias("text"))
         .collect()
     )

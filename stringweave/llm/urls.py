@@ -9,7 +9,9 @@ join on the canonical URL, which removes false positives.  All of it is built fr
 DataFrame functions.
 
 A null URL, or one without ``://``, has an empty host and path, meets no rule and is
-allowed.  Repeated rows keep their number.  An empty list allows everything.
+allowed.  Repeated rows keep their number.  An empty list allows everything.  Of rules of
+one length that fit, the one first in RULES counts; two different ones of one length can't
+fit one URL here.
 """
 
 from __future__ import annotations
