@@ -20,6 +20,11 @@ ORACLE_SQL = None
 LEAST_SCORE = 0.4
 
 
+def _numbered(docs: DataFrame) -> DataFrame:
+    """The columns but the text under numbers, so that none clashes with what an operator appends."""
+    return docs.select(*[F.col(f"`{c}`").alias(c if c == "text" else f"__{i}") for i, c in enumerate(docs.columns)])
+
+
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language the network tells, with that language as their ``lang``.
 
@@ -27,10 +32,10 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     LEAST_SCORE of the probability.  Repeated rows keep their number; other columns, whatever their
     names, pass unchanged.
     """
-    own = [F.col(f"`{c}`").alias(f"__{i}") for i, c in enumerate(docs.columns)]
-    tagged = langid.identify(docs.select(*own, "text"), learn_from=docs, keep=[f"__{i}" for i in range(len(own))])
+    own = _numbered(docs)
+    tagged = langid.identify(own, learn_from=docs)
     told = tagged.where((F.col("lang_pred") != "und") & (F.col("score") >= LEAST_SCORE))
-    return told.select(*[(F.col("lang_pred") if c == "lang" else F.col(f"__{i}")).alias(c) for i, c in enumerate(docs.columns)])
+    return told.select(*[F.col("lang_pred" if c == "lang" else own.columns[i]).alias(c) for i, c in enumerate(docs.columns)])
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,8 +51,8 @@ def personal_data_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
     A null text stays null and keeps its ``n_chars``.  Other columns, whatever their names, pass unchanged.
     """
-    own = [F.col(f"`{c}`").alias(f"__{i}") for i, c in enumerate(docs.columns)]
-    found = pii.scan(docs.select(*own, "text"), keep=[f"__{i}" for i in range(len(own))], mask=True)
+    own = _numbered(docs)
+    found = pii.scan(own, keep=[c for c in own.columns if c != "text"], mask=True)
     out = []
     for i, c in enumerate(docs.columns):
         if c == "text":
