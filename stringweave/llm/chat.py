@@ -225,6 +225,7 @@ def format_calls(events: DataFrame, schemas: dict[str, dict]) -> DataFrame:
     per event.  Sorting a conversation by (depth, pos) is a topological order; depth is 0 where
     the positions are one already.
     """
+    events = events.select(*[f.split()[0] for f in EVENTS.split(", ")])  # other columns, whose names may clash, stay behind
     linked = link(events)
     deep = depths(events).select(F.col("conv_id").alias("c"), F.col("call_id").alias("key"), "depth")
     rows = linked.withColumn("key", _key()).join(deep.withColumnRenamed("c", "conv_id"), ["conv_id", "key"], "left").drop("key")

@@ -116,13 +116,14 @@ class Graph:
 
     def _beam(self, near: np.ndarray, q: np.ndarray, entry: np.ndarray, beam: int) -> tuple[np.ndarray, np.ndarray]:
         """The ``beam`` best nodes found for each query, best first (-1 where there are none), with similarities."""
-        n, rows = len(q), np.arange(len(q))[:, None]
+        n = len(q)
         seen = np.zeros((n, len(self.v)), bool)
         entry = np.sort(entry, axis=1)
         entry = np.where(np.concatenate([np.zeros((n, 1), bool), entry[:, 1:] == entry[:, :-1]], axis=1), -1, entry)
         ids = np.concatenate([entry, np.full((n, beam), -1)], axis=1)[:, : max(beam, entry.shape[1])].astype(np.int64)
         sims = np.where(ids >= 0, np.einsum("qkd,qd->qk", self.v[ids], q), -np.inf)
-        seen[rows, np.maximum(ids, 0)] |= ids >= 0
+        at, c = np.nonzero(ids >= 0)
+        seen[at, ids[at, c]] = True
         fresh = ids >= 0
         wide = max(2, beam // 16)
         live = np.arange(n)
@@ -142,7 +143,8 @@ class Graph:
             new = nb >= 0
             new[:, 1:] &= nb[:, 1:] != nb[:, :-1]
             new &= ~seen[live[:, None], nb]
-            seen[live[:, None], np.maximum(nb, 0)] |= new
+            at, c = np.nonzero(new)  # a node that stands twice in a row is new once only
+            seen[live[at], nb[at, c]] = True
             sim = np.where(new, np.einsum("qkd,qd->qk", self.v[nb], q[live]), -np.inf)
             all_s = np.concatenate([sims[live], sim], axis=1)
             keep = np.argpartition(-all_s, ids.shape[1] - 1, axis=1)[:, : ids.shape[1]]
@@ -211,7 +213,8 @@ def search(graph: Graph, raw: np.ndarray, queries: np.ndarray, threshold: float
         i, j = graph.within(q, threshold - 1e-5, beam, own)
         # verified in double precision, as dot product over both norms
         ok = np.concatenate([np.einsum("nd,nd->n", queries[i[a : a + 65536]], raw[j[a : a + 65536]]) / (np.linalg.norm(queries[i[a : a + 65536]], axis=1) * np.linalg.norm(raw[j[a : a + 65536]], axis=1)) for a in range(0, len(i), 65536)] or [np.empty(0)]) >= threshold
-        i, j = i[ok], j[ok]
+        each = np.unique(i[ok] * max(1, len(v)) + j[ok])
+        i, j = each // max(1, len(v)), each % max(1, len(v))
         found = int((np.isin(i, probe) & ~(own & (i == j))).sum())
         if beam >= len(v) or found >= AUDIT_RECALL * truth:
             return i, j, (truth, found, beam)
