@@ -31,7 +31,8 @@ class Profile:
     branch: str = "vertex"
     components: str = "contract"
     weight: str = "reads"
-    owners: int = 16
+    owners: int | None = None  # derived from the bases
+    max_degree: int = 2
     ordered: bool = True
     cycle: str = "drop"
     strict: bool = False
@@ -74,13 +75,14 @@ def string_graph(reads: DataFrame, p: Profile, seconds: dict | None = None) -> t
         km = overlap.kmers(reads, p.k, p.both_strands)
         return overlap.minimizers(km, p.sample) if p.sample > 1 else km
 
-    counts = stage("CountKmer", overlap.reliable(overlap.count_kmers(words(reads)), p.lo, p.hi))
+    tally = overlap.count_codes(reads, p.k, p.both_strands) if p.sample == 1 else overlap.count_kmers(words(reads))
+    counts = stage("CountKmer", overlap.reliable(tally, p.lo, p.hi))
     once = p.drop_contained and p.lo <= 2 and p.hi is None and p.sample == 1 and p.min_shared == 1
     members = stage("CountKmer", overlap.equal_reads(reads)) if once else None
     own = reads.join(members.where("read_id = rep").select("read_id"), "read_id", "left_semi") if once else reads
     a = overlap.build_a(words(own), counts)
     c = stage("DetectOverlap", overlap.candidates(a, own, p.k, p.min_shared, by_diagonal=True))
-    align = {"exact": lambda: overlap.align_exact(c, own), "ungapped": lambda: overlap.align_ungapped(c, own, p.k, p.x), "xdrop": lambda: overlap.align_xdrop(c, own, p.k, p.x, p.min_score)}[p.method]
+    align = {"exact": lambda: overlap.align_exact(c, own), "ungapped": lambda: overlap.align_ungapped(c, own, p.k, p.x), "xdrop": lambda: overlap.align_xdrop(c, own, p.k, p.x, p.min_score), "full": lambda: overlap.align_full(c, own, p.min_score)}[p.method]
     aln = stage("Alignment", overlap.best_per_pair(overlap.prune_low_score(align(), p.min_score)))
     kept = overlap.drop_reads(aln, overlap.contained(aln, p.fuzz)) if p.drop_contained else aln
     edges = overlap.classify(kept, p.fuzz)
@@ -95,7 +97,7 @@ def assemble(reads: DataFrame, p: Profile | None = None) -> Assembly:
     reads = store.keep(reads)
     aln, s = string_graph(reads, p, seconds)
     began = time.time()
-    out = store.keep(contigs.generate_contigs(s, reads, p.owners, p.branch, p.components, p.weight, p.ordered, p.cycle, p.strict, p.singletons))
+    out = store.keep(contigs.generate_contigs(s, reads, p.owners, p.branch, p.components, p.weight, p.ordered, p.cycle, p.strict, p.singletons, p.max_degree, seconds))
     seconds["ExtractContig"] = time.time() - began
     return Assembly(out, s, aln, seconds)
 

@@ -6,6 +6,7 @@ import time
 from collections import defaultdict
 from itertools import product
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -123,6 +124,12 @@ def single_node(reads: list[tuple[int, str]], min_overlap: int, corrected: bool
                     found.append((len(s) - p, key, other))
         if budget_s and time.time() - began > budget_s:
             break
+    return merged(seqs, found)
+
+
+def merged(seqs: dict[int, str], found: list[tuple]) -> list[str]:
+    """Greedy layout: overlaps ``(bases, (read, strand), (read, strand))`` are taken longest first where both ends are free."""
+    strands = {(i, d): (s if d == 0 else revcomp(s)) for i, s in seqs.items() for d in (0, 1)}
     nxt, before, up = {}, {}, {i: i for i in seqs}
 
     def top(x):
@@ -149,3 +156,61 @@ def single_node(reads: list[tuple[int, str]], min_overlap: int, corrected: bool
             done.add(at[0])
         out.append(s)
     return out
+
+
+def within_budget(reads: list[tuple[int, str]], min_overlap: int, seconds: float) -> tuple[list[str], bool]:
+    """The corrected assembler stopped after ``seconds``, and whether it had ended by then."""
+    began = time.time()
+    made = single_node(reads, min_overlap, True, seconds)
+    return made, time.time() - began <= seconds
+
+
+def minimizers(s: str, k: int, w: int) -> list[tuple[int, int, bool]]:
+    """``(code, position, reversed)``: of every ``w`` neighbouring k-mers the one with the smallest hash, strands as one."""
+    from stringweave.operators.overlap import packed
+
+    if len(s) < k:
+        return []
+    f, b = packed(s.encode(), k)
+    code = np.minimum(f, b)
+    h = (code.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(20)
+    n = max(1, len(h) - w + 1)
+    at = np.unique([i + int(h[i : i + w].argmin()) for i in range(n)])
+    return [(int(code[i]), int(i), bool(code[i] != f[i])) for i in at]
+
+
+def minimizer_layout(reads: list[tuple[int, str]], k: int = 13, w: int = 4, least: int = 3, drift: int = 60, shortest: int = 60) -> list[str]:
+    """A noisy-read assembler in one process, without correction: minimizers shared on one diagonal make an overlap.
+
+    Pairs with ``least`` shared minimizers within ``drift`` of one diagonal overlap as far as that diagonal says; the
+    layout takes the longest first and glues raw reads, so errors stay.
+    """
+    seqs = dict(reads)
+    index: dict[int, list] = defaultdict(list)
+    for i, s in seqs.items():
+        for code, at, rev in minimizers(s, k, w):
+            index[code].append((i, at, rev))
+    diagonals: dict[tuple, list] = defaultdict(list)
+    for hits in index.values():
+        for x, (u, pu, ru) in enumerate(hits):
+            for v, pv, rv in hits[x + 1 :]:
+                if u != v:
+                    if u > v:
+                        u, pu, ru, v, pv, rv = v, pv, rv, u, pu, ru
+                    flip = ru != rv
+                    diagonals[u, v, flip].append(pu - (len(seqs[v]) - k - pv if flip else pv))
+    found = []
+    for (u, v, flip), ds in diagonals.items():
+        ds.sort()
+        mid = ds[len(ds) // 2]
+        if sum(abs(x - mid) <= drift for x in ds) < least:
+            continue
+        nu, nv = len(seqs[u]), len(seqs[v])
+        if mid > 0 and nu - mid >= shortest and nu - mid < nv:  # u, then v
+            a, b, n = (u, 0), (v, int(flip)), nu - mid
+        elif mid < 0 and nv + mid >= shortest and nv + mid < nu:  # v, then u
+            a, b, n = (v, int(flip)), (u, 0), nv + mid
+        else:
+            continue
+        found += [(n, a, b), (n, (b[0], 1 - b[1]), (a[0], 1 - a[1]))]
+    return merged(seqs, found)

@@ -26,11 +26,18 @@ def customers(orders_table: DataFrame) -> DataFrame:
     return orders_table.select(F.col("o_orderkey").alias("u"), F.lead("o_orderkey").over(w).alias("v")).where("v is not null")
 
 
+#: Room for the turns of one conversation in the number of a turn.
+TURNS = 1_000_000_000
+
+
 def conversations(turns: DataFrame) -> DataFrame:
-    """Neighbouring turns as reads that follow one another whole: ``u, v, u_end, v_end, pre, post``."""
-    t = turns.select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), F.length("text").alias("n"))
-    nxt = t.select((F.col("id") - 1).alias("id"), F.col("id").alias("v"), F.col("n").alias("m"))
-    j = t.join(nxt, "id").select(F.col("id").alias("u"), "v", "n", "m")
+    """Neighbouring turns as reads that follow one another whole: ``u, v, u_end, v_end, pre, post``.
+
+    Turns meet inside their conversation; a turn's number is the conversation's times TURNS, plus the turn.
+    """
+    t = turns.select("conv_id", "turn", (F.col("conv_id") * TURNS + F.col("turn")).alias("u"), F.length("text").alias("n"))
+    nxt = t.select("conv_id", (F.col("turn") - 1).alias("turn"), F.col("u").alias("v"), F.col("n").alias("m"))
+    j = t.join(nxt, ["conv_id", "turn"]).select("u", "v", "n", "m")
     fore = j.select("u", "v", F.lit(1).alias("u_end"), F.lit(0).alias("v_end"), (F.col("n") - 1).alias("pre"), F.lit(0).alias("post"))
     back = j.select(F.col("v").alias("u"), F.col("u").alias("v"), F.lit(0).alias("u_end"), F.lit(1).alias("v_end"), F.lit(0).alias("pre"), (F.col("n") - 1).alias("post"))
     return fore.unionByName(back)

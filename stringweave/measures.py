@@ -75,10 +75,14 @@ def coverage_profile(intervals: DataFrame, bin_size: int) -> DataFrame:
 
 def nx(contigs: DataFrame, share: float = 0.5, total: int | None = None) -> DataFrame:
     """N50 and kin: the length at which the longest contigs hold ``share`` of the bases (or of ``total``)."""
-    w = Window.partitionBy(F.lit(1)).orderBy(F.desc("len"), "contig_id").rowsBetween(Window.unboundedPreceding, 0)
-    all_bases = F.sum("len").over(Window.partitionBy(F.lit(1))) if total is None else F.lit(total)
-    s = contigs.select("len", F.sum("len").over(w).alias("upto"), all_bases.alias("bases"))
-    return s.where(F.col("upto") >= share * F.col("bases")).agg(F.max("len").alias("nx"))
+    # contigs of one length are one row, and lengths meet in two levels, so no task orders all contigs
+    per = contigs.groupBy("len").agg(F.sum("len").alias("bases")).withColumn("group", F.floor(F.log2(F.greatest("len", F.lit(1)))).cast("int"))
+    longer = lambda by, at: Window.partitionBy(*by).orderBy(F.desc(at)).rowsBetween(Window.unboundedPreceding, -1)
+    groups = per.groupBy("group").agg(F.sum("bases").alias("held"))  # 64 rows at most
+    groups = groups.select("group", F.coalesce(F.sum("held").over(longer([F.lit(1)], "group")), F.lit(0)).alias("before"), F.sum("held").over(Window.partitionBy(F.lit(1))).alias("all"))
+    upto = F.col("before") + F.coalesce(F.sum("bases").over(longer(["group"], "len")), F.lit(0)) + F.col("bases")
+    s = per.join(groups, "group").select("len", upto.alias("upto"), (F.col("all") if total is None else F.lit(total)).alias("all"))
+    return s.where(F.col("upto") >= share * F.col("all")).agg(F.max("len").alias("nx"))
 
 
 def lpt_bound(owners: int, ordered: bool = True) -> float:
@@ -107,8 +111,23 @@ def efficiency(base_s: float, base_p: int, s: float, p: int) -> float:
 
 
 def stage_shares(seconds: dict) -> dict:
-    total = sum(seconds.values()) or 1.0
-    return {k: v / total for k, v in seconds.items()}
+    """Share of every stage; the steps inside the contig stage are no stages."""
+    stages = {k: v for k, v in seconds.items() if ":" not in k}
+    total = sum(stages.values()) or 1.0
+    return {k: v / total for k, v in stages.items()}
+
+
+def contig_shares(seconds: dict) -> dict:
+    """Share of every step inside the contig stage; walking and spelling is what the others leave."""
+    steps = {k.partition(":")[2]: v for k, v in seconds.items() if k.startswith("contig:")}
+    total = seconds.get("ExtractContig", 0) or 1.0
+    return {k: v / total for k, v in steps.items()} | {"local assembly": 1 - sum(steps.values()) / total}
+
+
+def coverage_variation(profile: DataFrame) -> DataFrame:
+    """``(chrom, bins, mean, cv)``: the coefficient of variation of the depth over a chromosome's bins."""
+    g = profile.groupBy("chrom").agg(F.count("*").alias("bins"), F.avg("depth").alias("mean"), F.stddev_pop("depth").alias("sd"))
+    return g.select("chrom", "bins", "mean", F.try_divide("sd", "mean").alias("cv"))
 
 
 def overlap_accuracy(aln: DataFrame, truth: DataFrame, at_least: int) -> DataFrame:

@@ -3,17 +3,23 @@
 from __future__ import annotations
 
 import heapq
+import time
 from collections.abc import Iterable
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from stringweave.functions.dna import oslice
 from stringweave.operators.contraction import contract_components
 from stringweave.session import Scratch
 
-#: Contigs assigned on the driver at most; beyond, the histogram form is used.
+#: Contigs assigned on the driver at most; beyond, the histogram form is used, or tasks assign theirs as they come.
 DRIVER_LPT = 2_000_000
+#: Contigs of one size that one task ranks in the histogram form, on average.
+RANK_ROWS = 100_000
+#: Bases that one owner walks and spells, and the fewest owners.
+OWNER_BASES, LEAST_OWNERS = 1 << 28, 16
 
 
 def both_ways(pairs: DataFrame) -> DataFrame:
@@ -41,6 +47,16 @@ def mask(s: DataFrame, b: DataFrame) -> DataFrame:
     return s.join(b.select(F.col("v").alias("u")), "u", "left_anti").join(b.select("v"), "v", "left_anti").select(*s.columns)
 
 
+def mask_flags(s: DataFrame, deg: DataFrame, max_degree: int = 2) -> DataFrame:
+    """``mask`` by flags: every edge learns the degrees of both ends and stays if neither branches.
+
+    No list of branching vertices is made, so nothing can be broadcast; ``mask`` joins such a list, which
+    adaptive execution broadcasts where it is small.
+    """
+    d = lambda end: deg.select(F.col("v").alias(end), (F.col("deg") > max_degree).alias(f"__{end}"))
+    return s.join(d("u"), "u").join(d("v"), "v").where("not __u and not __v").select(*s.columns)
+
+
 def mask_ends(s: DataFrame, ends: DataFrame) -> DataFrame:
     """Clear only the edges at branching ends, from either side."""
     twin = ends.select(F.col("u").alias("v"), F.col("u_end").alias("v_end"))
@@ -219,11 +235,25 @@ def lpt_runs(runs: Iterable[tuple[int, int]], owners: int) -> list[tuple[int, li
 
 def assign(contig_sizes: DataFrame, owners: int, ordered: bool = True, where: str = "auto") -> DataFrame:
     """``(contig_id, owner)``.  Contigs are few against reads; beyond DRIVER_LPT of them only their
-    histogram of sizes reaches the driver, and items of one size are dealt by their rank."""
+    histogram of sizes reaches the driver, and items of one size are dealt by their rank.  Unordered,
+    every task then deals its own contigs as they come, to owners empty at its beginning."""
     spark = contig_sizes.sparkSession
     if where == "auto":
         where = "driver" if contig_sizes.limit(DRIVER_LPT + 1).count() <= DRIVER_LPT else "histogram"
-    if where == "driver" or not ordered:
+    if where == "histogram" and not ordered:
+
+        def deal(batches):
+            heap = [(0, o) for o in range(owners)]
+            for b in batches:
+                got = []
+                for n in b.column(1).to_pylist():
+                    load, o = heap[0]
+                    heapq.heapreplace(heap, (load + n, o))
+                    got.append(o)
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(got, pa.int32())], names=["contig_id", "owner"])
+
+        return contig_sizes.select(F.col("contig_id").cast("long").alias("contig_id"), F.col("n").cast("long").alias("n")).mapInArrow(deal, "contig_id long, owner int")
+    if where == "driver":
         rows = lpt(((r.contig_id, r.n) for r in contig_sizes.select("contig_id", "n").collect()), owners, ordered)
         return spark.createDataFrame(rows, "contig_id long, owner int")
     runs = [(r.n, r.c) for r in contig_sizes.groupBy("n").agg(F.count("*").alias("c")).collect()]
@@ -235,7 +265,13 @@ def assign(contig_sizes: DataFrame, owners: int, ordered: bool = True, where: st
                 spans.append((s, at[s], at[s] + g, o))
                 at[s] += g
     table = spark.createDataFrame(spans, "n long, lo long, hi long, owner int")
-    ranked = contig_sizes.withColumn("i", F.row_number().over(Window.partitionBy("n").orderBy("contig_id")) - 1)
+    # ranks inside a size: cells by hash, so that no task ranks all contigs of a common size
+    cells = max(1, max((c for _, c in runs), default=0) // RANK_ROWS)
+    celled = contig_sizes.withColumn("cell", F.pmod(F.xxhash64("contig_id"), F.lit(cells)))
+    before = Window.partitionBy("n").orderBy("cell").rowsBetween(Window.unboundedPreceding, -1)
+    first = celled.groupBy("n", "cell").agg(F.count("*").alias("held")).select("n", "cell", F.coalesce(F.sum("held").over(before), F.lit(0)).alias("first"))
+    own = F.row_number().over(Window.partitionBy("n", "cell").orderBy("contig_id")) - 1
+    ranked = celled.withColumn("own", own).join(first, ["n", "cell"]).withColumn("i", F.col("first") + F.col("own"))
     return ranked.join(table, "n").where("i >= lo and i < hi").select("contig_id", "owner")
 
 
@@ -270,6 +306,22 @@ def induced_by_grid(l: DataFrame, place: DataFrame, n: int, grid: int) -> tuple[
     return out, cost.select("bi", "bj", (F.col("held") + F.when(F.col("bi") == F.col("bj"), 0).otherwise(F.col("other"))).alias("received"))
 
 
+def induced_by_all_gather(l: DataFrame, place: DataFrame, n: int, grid: int) -> tuple[DataFrame, DataFrame]:
+    """The induced subgraph where every process holds the whole vertex map, and what each receives: the baseline of the grid.
+
+    The map is copied once per process and met there, as a gather of all by all would leave it.
+    """
+    size = -(-n // grid)
+    spark = l.sparkSession
+    procs = spark.range(grid * grid).select(F.expr(f"id div {grid}").alias("bi"), (F.col("id") % grid).alias("bj"))
+    copies = place.select("v", "owner", F.explode(F.sequence(F.lit(0), F.lit(grid * grid - 1))).alias("proc"))
+    e = l.withColumn("proc", F.expr(f"cast((u div {size}) * {grid} + v div {size} as int)"))
+    one, two = copies.select("proc", F.col("v").alias("u"), "owner"), copies.select("proc", "v", F.col("owner").alias("owner2"))
+    out = e.join(one, ["proc", "u"]).join(two, ["proc", "v"]).where("owner = owner2").select("owner", *l.columns)
+    held = place.agg(F.count("*").alias("received"))
+    return out, procs.join(held, F.lit(True)).select("bi", "bj", "received")
+
+
 def to_owner(df: DataFrame, owners: int) -> DataFrame:
     """One bulk move: the rows of an owner to the partition of its number."""
     return df.repartitionById(owners, F.col("owner"))
@@ -296,6 +348,18 @@ def dcsc(edges: DataFrame) -> DataFrame:
     return edges.groupBy(F.col("v").alias("col")).agg(F.array_sort(F.collect_list("u")).alias("rows"))
 
 
+def decompressed(d: DataFrame, n: int) -> DataFrame:
+    """Doubly compressed columns to plain ones: a pointer for each of ``n`` columns, empty ones included.
+
+    One row ``(jc, ir)``, so for the matrix of one owner, in local numbers.
+    """
+    all_cols = d.sparkSession.range(n).select(F.col("id").alias("col"))
+    full = all_cols.join(d, "col", "left").select("col", F.coalesce("rows", F.array().cast("array<long>")).alias("rows"))
+    cols = full.agg(F.array_sort(F.collect_list(F.struct("col", "rows"))).alias("cols"))
+    ptr = F.aggregate("cols", F.array(F.lit(0)), lambda acc, x: F.concat(acc, F.array(F.element_at(acc, -1) + F.size(x["rows"]))))
+    return cols.select(ptr.alias("jc"), F.flatten(F.transform("cols", lambda x: x["rows"])).alias("ir"))
+
+
 def ship_reads(reads: DataFrame, place: DataFrame, chunk: int = 1 << 26) -> DataFrame:
     """Bases of placed reads with their owner, in pieces below the row limit: ``(owner, read_id, part, seq)``."""
     j = reads.join(place.select(F.col("v").alias("read_id"), "owner"), "read_id")
@@ -390,18 +454,60 @@ def local_assembly(edges: DataFrame, bases: DataFrame, owners: int, cycle: str =
     return e.groupBy("owner").cogroup(b.groupBy("owner")).applyInArrow(run, CONTIG)
 
 
-def generate_contigs(s: DataFrame, reads: DataFrame, owners: int = 16, branch: str = "vertex", method: str = "contract", weight: str = "reads", ordered: bool = True, cycle: str = "drop", strict: bool = False, singletons: str = "drop") -> DataFrame:
+def owners_for(reads: DataFrame) -> int:
+    """Owners such that each has OWNER_BASES on average, LEAST_OWNERS at least."""
+    bases = reads.agg(F.sum(F.length("seq").cast("long"))).first()[0] or 0
+    return max(LEAST_OWNERS, -(-bases // OWNER_BASES))
+
+
+def spell_relational(l: DataFrame, reads: DataFrame) -> DataFrame:
+    """Contigs of a graph of degree two at most without an owner: ranks, pieces and one ordered concatenation.
+
+    ``(contig_id, n_reads, len, seq)`` of chains, from the smaller end; the engine for chains too long
+    for one owner's memory while walking.  ``l`` is ``(u, v, u_end, v_end, pre, post)``.
+    """
+    at = Scratch(l.sparkSession, "spelling").keep(chain_ranks(l))
+    step = l.join(at.select(F.col("v").alias("u"), "contig_id", F.col("pos").alias("pu")), "u").join(at.select("v", F.col("pos").alias("pv")), "v").where("pv = pu + 1")
+    out = step.select(F.col("u").alias("v"), F.col("u_end").alias("exit_end"), "pre")
+    came = step.select("v", F.col("v_end").alias("entry_end"), "post")
+    p = at.join(out, "v", "left").join(came, "v", "left").join(reads.select(F.col("read_id").alias("v"), "seq"), "v")
+    rev = F.coalesce(F.col("entry_end") == 1, F.col("exit_end") == 0, F.lit(False))
+    n = F.length("seq")
+    first = F.coalesce("post", F.when(rev, n - 1).otherwise(0))
+    last = F.coalesce("pre", F.when(rev, 0).otherwise(n - 1))
+    piece = oslice("seq", F.when(rev, last).otherwise(first), F.when(rev, first).otherwise(last), rev)
+    g = p.select("contig_id", "pos", piece.alias("piece")).groupBy("contig_id").agg(F.count("*").alias("n_reads"), F.array_sort(F.collect_list(F.struct("pos", "piece"))).alias("x"))
+    seq = F.array_join(F.transform("x", lambda y: y["piece"]), "")
+    return g.select("contig_id", "n_reads", F.length(seq).cast("long").alias("len"), seq.alias("seq"))
+
+
+def generate_contigs(s: DataFrame, reads: DataFrame, owners: int | None = None, branch: str = "vertex", method: str = "contract", weight: str = "reads", ordered: bool = True, cycle: str = "drop", strict: bool = False, singletons: str = "drop", max_degree: int = 2, seconds: dict | None = None) -> DataFrame:
     """The contig stage on a string graph ``(u, v, u_end, v_end, pre, post)``: see CONTIG for what it returns.
 
+    ``branch`` is vertex (a list of branching vertices), flags (degrees on every edge) or end.
     ``singletons="keep"`` adds the vertices that the mask left without an edge, each as a contig of one read.
+    Without ``owners`` their number follows the bases.  ``seconds`` receives what every step took, under
+    names that begin with ``contig:``; the induced subgraph and the reads are then written to be timed.
     """
-    store = Scratch(s.sparkSession, "contigs")
+    store, took = Scratch(s.sparkSession, "contigs"), {} if seconds is None else seconds
+
+    def step(name, df):
+        began = time.time()
+        out = store.keep(df)
+        took[f"contig:{name}"] = took.get(f"contig:{name}", 0) + time.time() - began
+        return out
+
+    owners = owners or owners_for(reads)
     s = store.keep(s.select("u", "v", "u_end", "v_end", "pre", "post"))
-    l = store.keep(mask(s, branching(degrees(s))) if branch == "vertex" else mask_ends(s, branching_ends(s)))
-    member = store.keep(components(l, method))
+    masked = {"vertex": lambda: mask(s, branching(degrees(s), max_degree)), "flags": lambda: mask_flags(s, degrees(s), max_degree), "end": lambda: mask_ends(s, branching_ends(s))}
+    l = step("branch removal", masked[branch]())
+    member = step("components", components(l, method))
     size = sizes(member, reads if weight == "bases" else None)
-    place = store.keep(placement(member, assign(size, owners, ordered)))
-    out = local_assembly(induced(l, place, sides=1), ship_reads(reads, place), owners, cycle, strict)
+    place = step("partitioning", placement(member, assign(size, owners, ordered)))
+    own, bases = induced(l, place, sides=1), ship_reads(reads, place)
+    if seconds is not None:
+        own, bases = step("induced subgraph", own), step("read exchange", bases)
+    out = local_assembly(own, bases, owners, cycle, strict)
     return out if singletons == "drop" else out.unionByName(lone(s, l, reads, owners))
 
 

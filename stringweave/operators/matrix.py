@@ -45,6 +45,21 @@ def spmv(a: DataFrame, x: DataFrame, sr: Semiring = PLUS_TIMES) -> DataFrame:
     return a.join(v, "col").groupBy(F.col("row").alias("i")).agg(sr.add(sr.mul(F.col("val"), F.col("y"))).alias("val"))
 
 
+def apply(a: DataFrame, f: Callable[[Column], Column]) -> DataFrame:
+    """A function of every element."""
+    return a.select("row", "col", f(F.col("val")).alias("val"))
+
+
+def select(a: DataFrame, keep: Callable[[Column, Column, Column], Column]) -> DataFrame:
+    """The elements that a condition on row, column and value keeps."""
+    return a.where(keep(F.col("row"), F.col("col"), F.col("val")))
+
+
+def prune(a: DataFrame, drop: Callable[[Column], Column]) -> DataFrame:
+    """Without the elements whose value a condition names."""
+    return a.where(~drop(F.col("val")))
+
+
 def emul(a: DataFrame, b: DataFrame, mul=lambda x, y: x * y) -> DataFrame:
     """Element-wise product over the common pattern."""
     return a.join(b.withColumnRenamed("val", "y"), ["row", "col"]).select("row", "col", mul(F.col("val"), F.col("y")).alias("val"))

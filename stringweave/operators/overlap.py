@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import itertools
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -12,8 +14,9 @@ from stringweave.session import Scratch
 
 
 _CODE = np.zeros(256, np.int64)
+_BASE = np.zeros(256, bool)
 for _i, _b in enumerate(b"ACGT"):
-    _CODE[_b] = _i
+    _CODE[_b], _BASE[_b] = _i, True
 
 
 def packed(seq: bytes, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -36,19 +39,60 @@ def packed(seq: bytes, k: int) -> tuple[np.ndarray, np.ndarray]:
     return fore, back
 
 
+def known(seq: bytes, k: int) -> np.ndarray | None:
+    """Marks the windows of ``k`` letters that are all A, C, G or T; None where every window is."""
+    ok = _BASE[np.frombuffer(seq, np.uint8)]
+    if ok.all():
+        return None
+    bad = np.concatenate(([0], np.cumsum(~ok)))
+    return bad[k:] == bad[: len(bad) - k]
+
+
+def _codes(seq: bytes, k: int, both_strands: bool):
+    """Pieces ``(positions, codes, reversed)`` of a sequence's k-mers; windows with other letters are no k-mers."""
+    for a in range(0, len(seq) - k + 1, 1 << 20):  # pieces of long sequences overlap by k - 1
+        piece = seq[a : a + (1 << 20) + k - 1]
+        f, b = packed(piece, k)
+        code, at, some = np.minimum(f, b) if both_strands else f, np.arange(a, a + len(f), dtype=np.int32), known(piece, k)
+        yield (at, code, code != f) if some is None else (at[some], code[some], (code != f)[some])
+
+
+def count_codes(reads: DataFrame, k: int, both_strands: bool = True) -> DataFrame:
+    """``(kmer, n)`` straight from sequences: counts are taken in Python batch by batch, so Arrow and the
+    shuffle see each different k-mer of some millions once."""
+
+    def work(batches):
+        held, n = [], 0
+
+        def flush():
+            code, times = np.unique(np.concatenate(held), return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(code, pa.int64()), pa.array(times, pa.int64())], names=["kmer", "n"])
+
+        for batch in batches:
+            for s in batch.column(0):
+                for _, code, _ in _codes(s.as_py().encode(), k, both_strands):
+                    held.append(code)
+                    n += len(code)
+                    if n >= 1 << 22:
+                        yield flush()
+                        held, n = [], 0
+        if held:
+            yield flush()
+
+    return reads.where(F.length("seq") >= k).select("seq").mapInArrow(work, "kmer long, n long").groupBy("kmer").agg(F.sum("n").alias("n"))
+
+
 def kmers(reads: DataFrame, k: int, both_strands: bool = True) -> DataFrame:
-    """``(read_id, pos, kmer, rev)``: packed k-mers, the smaller strand's if ``both_strands``; k up to 31."""
+    """``(read_id, pos, kmer, rev)``: packed k-mers, the smaller strand's if ``both_strands``; k up to 31.
+
+    Windows with a letter other than A, C, G and T are no k-mers.
+    """
 
     def work(batches):
         for batch in batches:
             for i, s in zip(batch.column(0).to_pylist(), batch.column(1)):
-                seq = s.as_py().encode()
-                for a in range(0, len(seq) - k + 1, 1 << 20):  # pieces of long sequences overlap by k - 1
-                    f, b = packed(seq[a : a + (1 << 20) + k - 1], k)
-                    code = np.minimum(f, b) if both_strands else f
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.full(len(f), i, np.int64)), pa.array(np.arange(a, a + len(f), dtype=np.int32)), pa.array(code), pa.array(code != f)], names=["read_id", "pos", "kmer", "rev"]
-                    )
+                for at, code, rev in _codes(s.as_py().encode(), k, both_strands):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(code), i, np.int64)), pa.array(at), pa.array(code), pa.array(rev)], names=["read_id", "pos", "kmer", "rev"])
 
     src = reads.where(F.length("seq") >= k).select(F.col("read_id").cast("long").alias("read_id"), "seq")
     return src.mapInArrow(lambda batches: _merged(work(batches)), "read_id long, pos int, kmer long, rev boolean")
@@ -222,14 +266,16 @@ def xdrop_one_side(a: bytes, b: bytes, x: int, match: int = 1, mismatch: int = -
     return best
 
 
+_ALIGNMENT = "u long, v long, rev boolean, nu int, nv int, score int, bu int, eu int, bv int, ev int"
+_ALIGNED, _KINDS = [f.split()[0] for f in _ALIGNMENT.split(", ")], [pa.int64(), pa.int64(), pa.bool_(), *[pa.int32()] * 7]
+
+
 def align_xdrop(c: DataFrame, reads: DataFrame, k: int, x: int, min_score: int = 0) -> DataFrame:
     """Gapped seed-and-extend in Arrow batches; pairs below ``min_score`` never leave the worker.
 
     Both seeds of a row of ``c`` are extended, the second unless the first one's span covers it on its diagonal.
     """
     j = _fetched(c, reads).select("u", "v", "rev", "nu", "nv", "su", "sv", "seed1", "seed2")
-    schema = "u long, v long, rev boolean, nu int, nv int, score int, bu int, eu int, bv int, ev int"
-
     def work(batches):
         for b in batches:
             out = []
@@ -248,10 +294,54 @@ def align_xdrop(c: DataFrame, reads: DataFrame, k: int, x: int, min_score: int =
                         bw, ew = r["nv"] - ew, r["nv"] - bw
                     out.append((r["u"], r["v"], r["rev"], r["nu"], r["nv"], rs + ls + k, pu - la, pu + k + ra, bw, ew))
             cols = list(zip(*out)) or [[]] * 10
-            kinds = [pa.int64(), pa.int64(), pa.bool_(), *[pa.int32()] * 7]
-            yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(cols, kinds)], names=["u", "v", "rev", "nu", "nv", "score", "bu", "eu", "bv", "ev"])
+            yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(cols, _KINDS)], names=_ALIGNED)
+
+    return j.mapInArrow(work, _ALIGNMENT)
+
 
-    return j.mapInArrow(work, schema)
+def full_overlap(a: bytes, b: bytes, match: int = 1, mismatch: int = -1, gap: int = -1) -> tuple[int, int, int, int, int]:
+    """The best overlap of two sequences by the whole dynamic programme: (score, begin and end in a, in b).
+
+    Gaps at either end of either sequence are free, so the alignment runs from a beginning to an end.
+    Rows are vectors; a running maximum settles the gaps along a row, and a second table is traced back.
+    """
+    s, t = np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)
+    n, m = len(s), len(t)
+    if not n or not m:
+        return 0, 0, 0, 0, 0
+    slope = gap * np.arange(m + 1)
+    row, move = np.zeros(m + 1, np.int64), np.zeros((n + 1, m + 1), np.int8)  # 0 stop, 1 both, 2 a only, 3 b only
+    side = np.zeros(n + 1, np.int64)
+    for i in range(1, n + 1):
+        both, up = row[:-1] + np.where(t == s[i - 1], match, mismatch), row[1:] + gap
+        best = np.concatenate(([0], np.maximum(both, up)))
+        new = np.maximum.accumulate(best - slope) + slope
+        move[i, 1:] = np.where(new[1:] > best[1:], 3, np.where(both >= up, 1, 2))
+        row, side[i] = new, new[m]
+    i, j = (int(side.argmax()), m) if side.max() >= row.max() else (n, int(row.argmax()))
+    score, ea, eb = int(max(side.max(), row.max())), i, j
+    while i and j:
+        step = move[i, j]
+        i, j = i - (step != 3), j - (step != 2)
+    return score, i, ea, j, eb
+
+
+def align_full(c: DataFrame, reads: DataFrame, min_score: int = 0) -> DataFrame:
+    """Every candidate pair and strand by the whole dynamic programme, seeds aside; for few and short reads."""
+    j = _fetched(c.select("u", "v", "rev").distinct(), reads).select("u", "v", "rev", "nu", "nv", "su", "sv")
+
+    def work(batches):
+        for b in batches:
+            out = []
+            for r in b.to_pylist():
+                score, bu, eu, bw, ew = full_overlap(r["su"].encode(), r["sv"].encode())
+                if score >= min_score:
+                    bw, ew = (r["nv"] - ew, r["nv"] - bw) if r["rev"] else (bw, ew)
+                    out.append((r["u"], r["v"], r["rev"], r["nu"], r["nv"], score, bu, eu, bw, ew))
+            cols = list(zip(*out)) or [[]] * 10
+            yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(cols, _KINDS)], names=_ALIGNED)
+
+    return j.mapInArrow(work, _ALIGNMENT)
 
 
 def best_per_pair(aln: DataFrame) -> DataFrame:
@@ -327,16 +417,20 @@ def classify(aln: DataFrame, fuzz: int = 0) -> DataFrame:
     return e.where("u_end is not null")
 
 
-def transitive_reduction(edges: DataFrame, fuzz: int = 0, max_rounds: int = 20) -> DataFrame:
+def transitive_reduction(edges: DataFrame, fuzz: int = 0, max_rounds: int | None = None) -> DataFrame:
     """Drop edges that a path over a third read explains, round after round until none goes.
 
+    Every round but the last drops edges, so it ends; a given ``max_rounds`` that is not enough raises.
+
     A two-step path leaves the middle read by the end it did not enter; it explains an edge with the
     same outer ends if its new bases are no more than the edge's, give or take ``fuzz``.  A min-plus
     product restricted to the pattern; twins go together.
     """
     store = Scratch(edges.sparkSession, "reduction")
     now = store.keep(edges)
-    for _ in range(max_rounds):
+    for turn in itertools.count():
+        if turn == max_rounds:
+            raise RuntimeError(f"edges may still go after {max_rounds} rounds")
         one = now.select("u", "u_end", F.col("v").alias("m"), F.col("v_end").alias("m_in"), F.col("suffix").alias("s1"))
         two = now.select(F.col("u").alias("m"), (1 - F.col("u_end")).alias("m_in"), "v", "v_end", F.col("suffix").alias("s2"))
         path = one.join(two, ["m", "m_in"]).groupBy("u", "u_end", "v", "v_end").agg(F.min(F.col("s1") + F.col("s2")).alias("best"))

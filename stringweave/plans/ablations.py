@@ -197,7 +197,7 @@ def agg_pivot_bases(spark, d):
     return p.select("chrom", *[F.coalesce(c, F.lit(0)).alias(c) for c in "ACGT"])
 
 
-@query(f"with {_G} select chrom, {_RC.format('substr(seq, 1, 40)')} as rc, levenshtein(substr(seq, 1, 40), {_RC.format('substr(seq, 1, 40)')})::int as edits, substr(seq, 1, 40) = {_RC.format('substr(seq, 1, 40)')} as palindrome from g")
+@query(f"with {_G} select chrom, {_RC.format('seq')} as rc, levenshtein(seq, {_RC.format('seq')})::int as edits, seq = {_RC.format('seq')} as palindrome from g")
 def fn_string_dna(spark, d):
     """Passages against their own other strand."""
     s = F.col("seq")

@@ -102,8 +102,7 @@ select n, count(*)::bigint as kmers from c group by n"""
 
 
 def _histogram(spark, d, k):
-    docs = R.genome(t(spark, d, "documents"), "doc_id", "text").withColumnRenamed("chrom", "read_id")
-    return overlap.count_kmers(overlap.kmers(docs, k)).groupBy("n").agg(F.count("*").alias("kmers"))
+    return overlap.count_codes(R.genome(t(spark, d, "documents"), "doc_id", "text"), k).groupBy("n").agg(F.count("*").alias("kmers"))
 
 
 @query(_doc_hist(17))
@@ -122,7 +121,7 @@ def kmer_reliable(spark, d):
     return c.select(dna.unpack("kmer", 31).alias("kmer"), "n")
 
 
-_A = f"{_SHOT}, {_km(31)}, ok as (select kmer from km group by kmer having count(*) between 2 and 64), a as (select km.* from km join ok using (kmer))"
+_A = f"{_SHOT}, {_km(31)}, ok as (select kmer from km group by kmer having count(*) >= 2), a as (select km.* from km join ok using (kmer))"
 
 
 def _bench_a(spark, d):
@@ -309,7 +308,7 @@ def components_customers(spark, d):
     return contigs.components(contigs.both_ways(graphs.customers(t(spark, d, "orders"))))
 
 
-@query("select conv_id * 1000 + turn as v, conv_id * 1000 as contig_id from conversations qualify count(*) over (partition by conv_id) > 1")
+@query("select conv_id * 1000000000 + turn as v, conv_id * 1000000000 as contig_id from conversations qualify count(*) over (partition by conv_id) > 1")
 def components_conversations(spark, d):
     return contigs.components(graphs.conversations(t(spark, d, "conversations")))
 
@@ -449,12 +448,12 @@ def grid_blocks(spark, d):
     return matrix.blocks(_ord_l(spark, d).select(F.col("u").alias("row"), F.col("v").alias("col"), F.lit(1).alias("val")), n, 4)
 
 
-@query("select (conv_id % 8)::int as owner, conv_id * 1000 + turn as read_id, k::int as part, substr(text, k * 50 + 1, 50) as seq from (select *, unnest(range(0, (greatest(length(text), 1) - 1) // 50 + 1)) as k from conversations)")
+@query("select (conv_id % 8)::int as owner, conv_id * 1000000000 + turn as read_id, k::int as part, substr(text, k * 50 + 1, 50) as seq from (select *, unnest(range(0, (greatest(length(text), 1) - 1) // 50 + 1)) as k from conversations)")
 def read_shipping(spark, d):
     """Turns to owners in pieces of fifty characters."""
     c = t(spark, d, "conversations")
-    place = c.select((F.col("conv_id") * 1000 + F.col("turn")).alias("v"), (F.col("conv_id") % 8).cast("int").alias("owner"))
-    rows = c.select((F.col("conv_id") * 1000 + F.col("turn")).alias("read_id"), F.col("text").alias("seq"))
+    place = c.select((F.col("conv_id") * graphs.TURNS + F.col("turn")).alias("v"), (F.col("conv_id") % 8).cast("int").alias("owner"))
+    rows = c.select((F.col("conv_id") * graphs.TURNS + F.col("turn")).alias("read_id"), F.col("text").alias("seq"))
     return contigs.ship_reads(rows, place, 50).select("owner", "read_id", F.col("part").cast("int").alias("part"), "seq")
 
 
@@ -484,7 +483,7 @@ def dcsc_columns(spark, d):
 
 def _conversation_contigs(spark, d):
     c = t(spark, d, "conversations")
-    rows = c.select((F.col("conv_id") * 1000 + F.col("turn")).alias("read_id"), F.col("text").alias("seq"), F.length("text").alias("len"))
+    rows = c.select((F.col("conv_id") * graphs.TURNS + F.col("turn")).alias("read_id"), F.col("text").alias("seq"), F.length("text").alias("len"))
     return contigs.generate_contigs(graphs.conversations(c), rows, 8)
 
 
@@ -527,7 +526,7 @@ def coverage_profile(spark, d):
 
 @query("with x as (select len, sum(len) over (order by len desc, item_id) as upto, sum(len) over () as s from (select item_id, 2 * octet_length(encode(text)) as len from benchmark)) select max(len)::bigint as nx from x where upto >= 0.5 * s")
 def n50(spark, d):
-    return measures.nx(bench_genome(spark, d).select(F.col("chrom").alias("contig_id"), F.col("len").cast("long").alias("len")))
+    return measures.nx(_bench_contigs(spark, d)[0].select("contig_id", "len"))
 
 
 @query()
@@ -557,7 +556,7 @@ def walk_customers(spark, d):
     return contigs.chain_ranks(contigs.both_ways(graphs.customers(t(spark, d, "orders")))).select("v", "pos")
 
 
-@query("select conv_id * 1000 + turn as v, conv_id * 1000 as root, turn as pos from conversations qualify count(*) over (partition by conv_id) > 1")
+@query("select conv_id * 1000000000 + turn as v, conv_id * 1000000000 as root, turn as pos from conversations qualify count(*) over (partition by conv_id) > 1")
 def remote_walk_conversations(spark, d):
     return baselines.remote_walk(graphs.conversations(t(spark, d, "conversations")))
 
@@ -660,12 +659,12 @@ def stream_static_candidates(spark, d):
 
 # ---- conversations spelled from their chains ----
 
-@query("select conv_id * 1000 as contig_id, count(*)::bigint as n_reads, string_agg(text, '' order by turn) as seq from conversations group by conv_id having count(*) > 1")
+@query("select conv_id * 1000000000 as contig_id, count(*)::bigint as n_reads, string_agg(text, '' order by turn) as seq from conversations group by conv_id having count(*) > 1")
 def spell_conversations(spark, d):
     return _conversation_contigs(spark, d).select("contig_id", "n_reads", "seq")
 
 
-@query("select conv_id * 1000 as contig_id, turn as pos, conv_id * 1000 + turn as v from conversations qualify count(*) over (partition by conv_id) > 1")
+@query("select conv_id * 1000000000 as contig_id, turn as pos, conv_id * 1000000000 + turn as v from conversations qualify count(*) over (partition by conv_id) > 1")
 def walk_conversations(spark, d):
     c = _conversation_contigs(spark, d)
     return c.select("contig_id", F.posexplode("reads").alias("pos", "v")).select("contig_id", F.col("pos").cast("long").alias("pos"), "v")

@@ -39,7 +39,7 @@ def all_pairs_baseline(spark, d):
     return baselines.all_pairs(bench_reads(spark, d), 31)
 
 
-@query(f"""with {_SHOT}, {_km(31)}, c as (select kmer from km group by kmer having count(*) between 2 and 64), a as (select km.* from km join c using (kmer))
+@query(f"""with {_SHOT}, {_km(31)}, c as (select kmer from km group by kmer having count(*) >= 2), a as (select km.* from km join c using (kmer))
 select u, v, sum(n)::bigint as n_shared from (select x.read_id as u, y.read_id as v, x.rev <> y.rev as r, count(*) as n from a x join a y on x.kmer = y.kmer and x.read_id < y.read_id group by 1, 2, 3 having count(*) >= 20) group by u, v""")
 def candidate_pairs_min_shared(spark, d):
     """Pairs that share twenty k-mers on one relative strand."""
@@ -146,14 +146,21 @@ def walk_sessions(spark, d):
     return contigs.chain_ranks(contigs.both_ways(graphs.sessions(t(spark, d, "events"), 240))).select("v", "pos")
 
 
-@query("select 1::bigint as bi, 3::bigint as bj, 3::bigint as partner_row, 1::bigint as partner_col")
+@query("select 0::bigint as bi, 2::bigint as bj, 2::bigint as partner_row, 0::bigint as partner_col, 8::bigint as received")
 def grid_example(spark, d):
-    """Sixteen vertices on a 4 x 4 grid: the block of edge (1, 12) counted from 0, and its transpose partner."""
-    one = matrix.blocks(spark.createDataFrame([(4, 12, 1)], "row long, col long, val int"), 16, 4)
-    return one.select("bi", "bj", F.col("bj").alias("partner_row"), F.col("bi").alias("partner_col"))
-
-
-@query(f"""with g as (select {_ENC.format('text')} as seq from benchmark) select least(seq, {_RC.format('seq')}) as seq, length(seq)::bigint as len from g where length(seq) >= 400""")
+    """Sixteen vertices on a 4 x 4 grid: the block of the edge between the first and the twelfth vertex, its
+    transpose partner, and how many owners its process receives, four of its rows and four of its columns."""
+    edge = spark.createDataFrame([(0, 11)], "u long, v long")
+    place = spark.range(16).select(F.col("id").alias("v"), F.lit(0).alias("owner"))
+    kept, cost = contigs.induced_by_grid(edge, place, 16, 4)
+    one = matrix.blocks(kept.select(F.col("u").alias("row"), F.col("v").alias("col"), F.lit(1).alias("val")), 16, 4).select("bi", "bj")
+    return one.join(cost, ["bi", "bj"]).select("bi", "bj", F.col("bj").alias("partner_row"), F.col("bi").alias("partner_col"), "received")
+
+
+@query(f"""with {_SHOT},
+part as (select chrom, count(*) filter (r.e <= g.len * 0.65) as n1, max(r.e) filter (r.e <= g.len * 0.65) as until,
+    count(*) filter (r.s >= g.len * 0.35) as n2, min(r.s) filter (r.s >= g.len * 0.35) as since from reads r join g using (chrom) group by chrom)
+select least(seq, {_RC.format('seq')}) as seq, len::bigint as len from g join part using (chrom) where n1 > 1 and n2 > 1 and until - since >= 31""")
 def second_round(spark, d):
     """Two runs over the left and the right part of each passage; a run over their contigs joins them.
 
@@ -305,7 +312,7 @@ def consensus_polish(spark, d):
 # ---- surface: functions, sources, sinks ----
 
 
-@query(f"with {_SHOT} select chrom, s::int as at, max(substr(seq, 1, 1)) as base from (select chrom, unnest(range(len)) as s, substr(seq, unnest(range(len)) + 1, 1) as seq from g where len <= 400) group by 1, 2")
+@query(f"with {_SHOT} select chrom, s::int as at, max(substr(seq, 1, 1)) as base from (select chrom, unnest(range(len)) as s, substr(seq, unnest(range(len)) + 1, 1) as seq from g) group by 1, 2")
 def udaf_consensus(spark, d):
     surface.register(spark)
     surface.pile(bench_reads(spark, d)).createOrReplaceTempView("sw_pile")
@@ -420,7 +427,7 @@ def fn_dates(spark, d):
     return o.groupBy(F.year("x").alias("y"), F.month("x").alias("m")).agg(F.count("*").alias("n"), F.max(F.datediff("x", F.date_trunc("month", "x"))).alias("last_day"))
 
 
-@query(f"with {_G} select a.chrom, levenshtein(substr(a.seq, 1, 90), substr(b.seq, 1, 90))::int as edits from g a join g b on b.chrom = a.chrom + 1")
+@query(f"with {_G} select a.chrom, levenshtein(a.seq, b.seq)::int as edits from g a join g b on b.chrom = a.chrom + 1")
 def fn_string_edits(spark, d):
     """Edit distance of neighbouring passages."""
     g = bench_genome(spark, d)

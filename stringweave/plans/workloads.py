@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from stringweave import assembly, measures
+from stringweave import assembly, graphs, measures
 from stringweave.functions import dna
 from stringweave.operators import overlap
 from stringweave.plans.registry import _ENC, _RC, _SHOT, query, t
@@ -27,7 +27,7 @@ def reads_shotgun_documents(spark, d):
 
 def _doc_counts(k):
     def run(spark, d):
-        c = overlap.count_kmers(overlap.kmers(doc_genome(spark, d).withColumnRenamed("chrom", "read_id"), k))
+        c = overlap.count_codes(doc_genome(spark, d), k)
         return c.select(dna.unpack("kmer", k).alias("kmer"), "n")
 
     run.__name__ = f"kmer_count_documents_k{k}"
@@ -46,7 +46,7 @@ _doc_counts(31)
 def _w01(spark, d):
     """Passages have even numbers of chromosomes, turns of conversations odd ones."""
     b = t(spark, d, "benchmark").select((F.col("item_id").cast("long") * 2).alias("id"), "text")
-    c = t(spark, d, "conversations").select((F.col("conv_id").cast("long") * 1000 + F.col("turn")).alias("id"), "text")
+    c = t(spark, d, "conversations").select((F.col("conv_id").cast("long") * graphs.TURNS + F.col("turn")).alias("id"), "text")
     return R.genome(b.unionByName(c.select((F.col("id") * 2 + 1).alias("id"), "text")), "id", "text")
 
 
