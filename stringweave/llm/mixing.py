@@ -139,7 +139,8 @@ def _serve(df: DataFrame, text: str, doc_id: str, source: str, seed: int) -> tup
     within = _cut(served, budget)
     last = lambda r: F.max(F.when(within(F.lit(r)), F.struct("h", "doc_id"))).alias(f"__end{r}")
     ends = served.groupBy("rank").agg(*[last(r) for r in range(MAX_REPEATS)])
-    return sized, goals.withColumnRenamed("source", "__source").join(ends, "rank", "left").drop("weight")
+    # written, so that the join with the rows knows how small it is and leaves their texts where they are
+    return sized, store.keep(goals.withColumnRenamed("source", "__source").join(ends, "rank", "left").drop("weight"))
 
 
 def _times() -> Column:
