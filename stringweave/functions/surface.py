@@ -7,7 +7,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, BooleanType, IntegerType, LongType, StringType, StructField, StructType
 
-from stringweave.operators.overlap import packed, xdrop_one_side
+from stringweave.operators.overlap import packed, xdrop_many
 
 #: Types as objects: a string needs a session, and this module is imported before there is one.
 EXTENSION = StructType([StructField(c, IntegerType()) for c in ("score", "u_bases", "v_bases")])
@@ -23,8 +23,11 @@ def kmer_pack(seq: pd.Series, k: pd.Series) -> pd.Series:
 @F.pandas_udf(EXTENSION)
 def xdrop_extend(u: pd.Series, v: pd.Series, x: pd.Series) -> pd.DataFrame:
     """Gapped extension of two sequences from their beginnings; null counts as empty."""
-    rows = [xdrop_one_side((a or "").encode(), (b or "").encode(), int(n)) for a, b, n in zip(u, v, x)]
-    return pd.DataFrame(rows, columns=["score", "u_bases", "v_bases"])
+    out = pd.DataFrame(0, index=u.index, columns=["score", "u_bases", "v_bases"])
+    for bound in x.unique():
+        at = (x == bound).to_numpy()
+        out.loc[at] = xdrop_many([(s or "").encode() for s in u[at]], [(s or "").encode() for s in v[at]], int(bound))
+    return out
 
 
 @F.pandas_udf(StringType())

@@ -223,47 +223,99 @@ def align_ungapped(c: DataFrame, reads: DataFrame, k: int, x: int) -> DataFrame:
     return _stored(got, (F.col("rs") + F.col("ls") + k).cast("int"), F.col("pu") - l, F.col("pu") + k + r, F.col("pv") - l, F.col("pv") + k + r)
 
 
-def xdrop_one_side(a: bytes, b: bytes, x: int, match: int = 1, mismatch: int = -1, gap: int = -1) -> tuple[int, int, int]:
-    """Best extension of two sequences from their beginnings: (score, bases of a, bases of b).
+_DEAD = -(1 << 29)
 
-    Anti-diagonals are vectors; cells more than ``x`` below the best so far are dropped, and the
-    extension ends when none is left.
-    """
-    s, t = np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)
-    n, m, low = len(s), len(t), -(1 << 30)
-    best = (0, 0, 0)
-    lo1 = lo2 = 0
-    one, two = np.array([0]), np.array([], np.int64)  # the last diagonal and the one before, by i
-    for d in range(1, n + m + 1):
-        lo, hi = max(lo1, d - m), min(lo1 + len(one), n)
-        if lo > hi:
-            break
-        i = np.arange(lo, hi + 1)
-        cell = np.full(len(i), low)
 
-        def take(arr, base, at):
-            out = np.full(len(at), low)
-            k = at - base
-            ok = (k >= 0) & (k < len(arr))
-            out[ok] = arr[k[ok]]
-            return out
+def _common(a: bytes, b: bytes) -> int:
+    """Bases that two sequences share from their beginnings."""
+    n = min(len(a), len(b))
+    if a[:n] == b[:n]:
+        return n
+    return int((np.frombuffer(a, np.uint8, n) != np.frombuffer(b, np.uint8, n)).argmax())
+
 
-        cell = np.maximum(take(one, lo1, i - 1), take(one, lo1, i)) + gap
+def _laid(seqs: list[bytes], width: int, before: int, filler: int) -> np.ndarray:
+    """Sequences as the rows of a matrix, from column ``before`` on."""
+    out = np.full((len(seqs), width), filler, np.uint8)
+    for row, s in zip(out, seqs):
+        row[before : before + len(s)] = np.frombuffer(s, np.uint8)
+    return out
+
+
+def _extend_group(a: list[bytes], b: list[bytes], x: int, match: int, mismatch: int, gap: int) -> np.ndarray:
+    """x-drop of a group of pairs in step: rows ``(score, bases of a, bases of b)``.
+
+    A column of the score table is an offset between the sequences.  An anti-diagonal renews every
+    second column, so one table holds the last two of them and every move is a slice.  The table is
+    widened where a live cell comes near its border, and pairs without a live cell leave it.
+    """
+    step, half = 4, 12  # anti-diagonals between looks at the border; offsets on either side at first
+    n, m = np.array([len(s) for s in a]), np.array([len(s) for s in b])
+    out, ids = np.zeros((len(a), 3), np.int64), np.arange(len(a))
+    best, last = np.zeros(len(a), np.int32), n + m
+    edge, long = 1 << 10, int(max(n.max(), m.max())) + 2
+    s, t = _laid(a, long + 2 * edge, edge, 0), _laid(b, long + 2 * edge, edge, 1)[:, ::-1]
+    h = np.full((len(a), 2 * half + 1), _DEAD, np.int32)
+    h[:, half] = 0
+    for d in range(1, int(last.max()) + 1):
+        if d % step == 1:
+            live = (h > _DEAD).any(axis=1) & (last >= d)
+            if live.sum() < 0.8 * len(live):
+                if not live.any():
+                    break
+                ids, best, last, s, t, h = ids[live], best[live], last[live], s[live], t[live], h[live]
+            if (h[:, : step + 1] > _DEAD).any() or (h[:, -step - 1 :] > _DEAD).any():
+                h, half = np.pad(h, ((0, 0), (half, half)), constant_values=_DEAD), 2 * half
+            if half + 2 > edge:
+                more = ((0, 0), (edge, edge))
+                s, t, edge = np.pad(s, more), np.pad(t, more, constant_values=1), 2 * edge
+        first = 1 + (half + 1 + d) % 2  # the first inner column whose offset has the parity of d
+        now, before, after = h[:, first:-1:2], h[:, first - 1 : -2 : 2], h[:, first + 1 :: 2]
+        w = now.shape[1]
+        i = (d + first - half) // 2  # bases of a in the first column; one more in each next
         j = d - i
-        inner = (i > 0) & (j > 0)
-        if inner.any():
-            hit = np.where(s[i[inner] - 1] == t[j[inner] - 1], match, mismatch)
-            cell[inner] = np.maximum(cell[inner], take(two, lo2, i[inner] - 1) + hit)
-        cell[cell < best[0] - x] = low
-        live = np.nonzero(cell > low // 2)[0]
-        if len(live) == 0:
-            break
-        top = int(cell.argmax())
-        if cell[top] > best[0]:
-            best = (int(cell[top]), int(i[top]), int(d - i[top]))
-        two, lo2 = one, lo1
-        one, lo1 = cell[live[0] : live[-1] + 1], lo + int(live[0])
-    return best
+        at, back = edge + i - 1, t.shape[1] - (edge + j - 1) - 1
+        hit = np.where(s[:, at : at + w] == t[:, back : back + w], np.int32(match), np.int32(mismatch))
+        cell = np.maximum(now + hit, np.maximum(before[:, :w], after[:, :w]) + gap)
+        cell[cell < (best - x)[:, None]] = _DEAD
+        now[:] = cell
+        top = cell.max(axis=1)
+        up = np.nonzero(top > best)[0]
+        if len(up):
+            best[up] = top[up]
+            gone = i + cell[up].argmax(axis=1)
+            out[ids[up]] = np.stack([top[up], gone, d - gone], axis=1)
+    return out
+
+
+def xdrop_many(a: list[bytes], b: list[bytes], x: int, match: int = 1, mismatch: int = -1, gap: int = -1) -> np.ndarray:
+    """Best extensions of pairs of sequences from their beginnings: rows ``(score, bases of a, bases of b)``.
+
+    Cells more than ``x`` below a pair's best so far are dropped, and its extension ends when none is
+    left.  What two sequences share at their beginnings is taken as it is: some best alignment
+    matches it.  Neither sequence is read beyond twice the length of the other, where gaps cost all
+    that matches gave.  Pairs of like length go together, some megabytes at a time.
+    """
+    out = np.zeros((len(a), 3), np.int64)
+    left = []
+    for i, (s, t) in enumerate(zip(a, b)):
+        r = _common(s, t)
+        out[i] = (r * match, r, r)
+        n = min(len(s), len(t)) - r
+        if n:
+            left.append((n, i, s[r : r + 2 * n], t[r : r + 2 * n]))
+    left.sort(key=lambda e: e[:2])
+    while left:
+        size = min(len(left), 2048, max(1, (1 << 24) // (4 * left[-1][0] + 4096)))
+        group, left = left[-size:], left[:-size]
+        got = _extend_group([e[2] for e in group], [e[3] for e in group], x, match, mismatch, gap)
+        out[[e[1] for e in group]] += got
+    return out
+
+
+def xdrop_one_side(a: bytes, b: bytes, x: int, match: int = 1, mismatch: int = -1, gap: int = -1) -> tuple[int, int, int]:
+    """One pair of ``xdrop_many``."""
+    return tuple(xdrop_many([a], [b], x, match, mismatch, gap)[0].tolist())
 
 
 _ALIGNMENT = "u long, v long, rev boolean, nu int, nv int, score int, bu int, eu int, bv int, ev int"
@@ -271,30 +323,35 @@ _ALIGNED, _KINDS = [f.split()[0] for f in _ALIGNMENT.split(", ")], [pa.int64(),
 
 
 def align_xdrop(c: DataFrame, reads: DataFrame, k: int, x: int, min_score: int = 0) -> DataFrame:
-    """Gapped seed-and-extend in Arrow batches; pairs below ``min_score`` never leave the worker.
+    """Gapped seed-and-extend, a whole Arrow batch in step; pairs below ``min_score`` never leave the worker.
 
     Both seeds of a row of ``c`` are extended, the second unless the first one's span covers it on its diagonal.
     """
-    j = _fetched(c, reads).select("u", "v", "rev", "nu", "nv", "su", "sv", "seed1", "seed2")
+    j = _fetched(c, reads).select("u", "v", "rev", "nu", "nv", "su", "sv", F.col("seed1.pu").alias("p1"), F.col("seed1.pv").alias("q1"), F.col("seed2.pu").alias("p2"), F.col("seed2.pv").alias("q2"))
+
     def work(batches):
         for b in batches:
-            out = []
-            for r in b.to_pylist():
-                su, sv, done = r["su"].encode(), r["sv"].encode(), None
-                for pu, pv in ((s["pu"], s["pv"]) for s in (r["seed1"], r["seed2"])):
-                    if done and (pu, pv) == done[:2] or done and pu - pv == done[0] - done[1] and pu + k <= done[2] and pv + k <= done[3]:
-                        continue
-                    rs, ra, rb = xdrop_one_side(su[pu + k :], sv[pv + k :], x)
-                    ls, la, lb = xdrop_one_side(su[:pu][::-1], sv[:pv][::-1], x)
-                    done = (pu, pv, pu + k + ra, pv + k + rb)
-                    if rs + ls + k < min_score:
-                        continue
-                    bw, ew = pv - lb, pv + k + rb
-                    if r["rev"]:
-                        bw, ew = r["nv"] - ew, r["nv"] - bw
-                    out.append((r["u"], r["v"], r["rev"], r["nu"], r["nv"], rs + ls + k, pu - la, pu + k + ra, bw, ew))
-            cols = list(zip(*out)) or [[]] * 10
-            yield pa.RecordBatch.from_arrays([pa.array(v, t) for v, t in zip(cols, _KINDS)], names=_ALIGNED)
+            col = {name: b.column(name).to_numpy(zero_copy_only=False) for name in ("u", "v", "rev", "nu", "nv", "p1", "q1", "p2", "q2")}
+            su, sv = ([s.encode() for s in b.column(name).to_pylist()] for name in ("su", "sv"))
+
+            def spans(rows, p, q):
+                right = xdrop_many([su[r][i + k :] for r, i in zip(rows, p)], [sv[r][i + k :] for r, i in zip(rows, q)], x)
+                left = xdrop_many([su[r][:i][::-1] for r, i in zip(rows, p)], [sv[r][:i][::-1] for r, i in zip(rows, q)], x)
+                return right[:, 0] + left[:, 0] + k, p - left[:, 1], p + k + right[:, 1], q - left[:, 2], q + k + right[:, 2]
+
+            p1, q1, p2, q2 = (col[name].astype(np.int64) for name in ("p1", "q1", "p2", "q2"))
+            every = np.arange(b.num_rows)
+            one = spans(every, p1, q1)
+            covered = (p2 - q2 == p1 - q1) & (p2 + k <= one[2]) & (q2 + k <= one[4])
+            rest = every[~covered]
+            two = spans(rest, p2[rest], q2[rest])
+            rows = np.concatenate((every, rest))
+            score, bu, eu, bw, ew = (np.concatenate(both) for both in zip(one, two))
+            rev, nv = col["rev"][rows].astype(bool), col["nv"][rows]
+            bv, ev = np.where(rev, nv - ew, bw), np.where(rev, nv - bw, ew)
+            good = score >= min_score
+            cols = [col["u"][rows], col["v"][rows], rev, col["nu"][rows], nv, score, bu, eu, bv, ev]
+            yield pa.RecordBatch.from_arrays([pa.array(v[good], t) for v, t in zip(cols, _KINDS)], names=_ALIGNED)
 
     return j.mapInArrow(work, _ALIGNMENT)
 

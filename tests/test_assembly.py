@@ -89,6 +89,38 @@ def test_xdrop_extension_against_full_dynamic_programme():
     assert overlap.xdrop_one_side(b"ACGTAAAA", b"ACGTCCCC", 2) == (4, 4, 4)
 
 
+def _pruned_score(a, b, x):
+    """x-drop cell by cell."""
+    live, best = {(0, 0): 0}, 0
+    for d in range(1, len(a) + len(b) + 1):
+        found = {}
+        for i in range(max(0, d - len(b)), min(d, len(a)) + 1):
+            j = d - i
+            ways = [live[p] - 1 for p in ((i - 1, j), (i, j - 1)) if p in live]
+            if (i - 1, j - 1) in live:
+                ways.append(live[i - 1, j - 1] + (1 if a[i - 1] == b[j - 1] else -1))
+            if ways and max(ways) >= best - x:
+                found[i, j] = max(ways)
+        best = max([best, *found.values()])
+        live.update(found)
+    return best
+
+
+def test_pairs_extended_in_step_equal_cell_by_cell():
+    rnd, a, b = random.Random(5), [], []
+    for n in (0, 1, 3, 20, 60, 90, 120) * 6:
+        s = "".join(rnd.choices("ACGT", k=n))
+        t = "".join(c if rnd.random() > 0.15 else rnd.choice(["", "A", c + "G"]) for c in s) if rnd.random() < 0.8 else "".join(rnd.choices("ACGT", k=40))
+        a.append(s.encode()), b.append(t.encode())
+    for x in (4, 15):
+        many = overlap.xdrop_many(a, b, x)
+        assert [int(r[0]) for r in many] == [_pruned_score(s, t, x) for s, t in zip(a, b)]
+        assert [tuple(r) for r in many.tolist()] == [overlap.xdrop_one_side(s, t, x) for s, t in zip(a, b)]
+    s = "".join(rnd.choices("ACGT", k=9000)).encode()
+    assert overlap.xdrop_one_side(s, s[:2000] + s[2400:], 600) == (8200, 9000, 8600)  # wider than the table at first
+    assert overlap.xdrop_one_side(b"C" + s, s[:2500], 5) == (2499, 2501, 2500)
+
+
 def test_packed_words_of_both_strands():
     s = "".join(random.Random(2).choice("ACGT") for _ in range(200))
     for k in (1, 7, 31):
