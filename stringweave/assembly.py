@@ -72,7 +72,7 @@ def string_graph(reads: DataFrame, p: Profile, seconds: dict | None = None) -> t
         return out
 
     def words(reads):
-        km = overlap.kmers(reads, p.k, p.both_strands)
+        km = overlap.kmers(reads, p.k, p.both_strands, overlap.can_chain(p.k, p.lo, p.hi, p.sample))
         return overlap.minimizers(km, p.sample) if p.sample > 1 else km
 
     tally = overlap.count_codes(reads, p.k, p.both_strands) if p.sample == 1 else overlap.count_kmers(words(reads))
@@ -80,7 +80,7 @@ def string_graph(reads: DataFrame, p: Profile, seconds: dict | None = None) -> t
     once = p.drop_contained and p.lo <= 2 and p.hi is None and p.sample == 1 and p.min_shared == 1
     members = stage("CountKmer", overlap.equal_reads(reads)) if once else None
     own = reads.join(members.where("read_id = rep").select("read_id"), "read_id", "left_semi") if once else reads
-    a = overlap.build_a(words(own), counts)
+    a = stage("CreateSpMat", overlap.build_a(words(own), counts))
     c = stage("DetectOverlap", overlap.candidates(a, own, p.k, p.min_shared, by_diagonal=True))
     align = {"exact": lambda: overlap.align_exact(c, own), "ungapped": lambda: overlap.align_ungapped(c, own, p.k, p.x), "xdrop": lambda: overlap.align_xdrop(c, own, p.k, p.x, p.min_score), "full": lambda: overlap.align_full(c, own, p.min_score)}[p.method]
     aln = stage("Alignment", overlap.best_per_pair(overlap.prune_low_score(align(), p.min_score)))

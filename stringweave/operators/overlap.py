@@ -82,20 +82,35 @@ def count_codes(reads: DataFrame, k: int, both_strands: bool = True) -> DataFram
     return reads.where(F.length("seq") >= k).select("seq").mapInArrow(work, "kmer long, n long").groupBy("kmer").agg(F.sum("n").alias("n"))
 
 
-def kmers(reads: DataFrame, k: int, both_strands: bool = True) -> DataFrame:
+def _beside(seq: bytes, at: np.ndarray, rev: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Codes of the letters left and right of k-mers, as they lie on the strand that gave the code; 4 for none."""
+    begin = max(0, int(at[0]) - 1) if len(at) else 0
+    letters = np.frombuffer(seq[begin : int(at[-1]) + k + 1] if len(at) else b"", np.uint8)
+    code = np.full(len(letters) + 2, 4, np.int8)
+    code[1:-1] = np.where(_BASE[letters], _CODE[letters], 4)
+    fore, after = code[at - begin], code[at - begin + k + 1]
+    turned = np.array([3, 2, 1, 0, 4], np.int8)
+    return np.where(rev, turned[after], fore), np.where(rev, turned[fore], after)
+
+
+def kmers(reads: DataFrame, k: int, both_strands: bool = True, beside: bool = False) -> DataFrame:
     """``(read_id, pos, kmer, rev)``: packed k-mers, the smaller strand's if ``both_strands``; k up to 31.
 
-    Windows with a letter other than A, C, G and T are no k-mers.
+    Windows with a letter other than A, C, G and T are no k-mers.  With ``beside`` come ``left`` and
+    ``right``, the letters next to the k-mer on its own strand.
     """
+    names, more = ["read_id", "pos", "kmer", "rev"], ["left", "right"] if beside else []
 
     def work(batches):
         for batch in batches:
             for i, s in zip(batch.column(0).to_pylist(), batch.column(1)):
-                for at, code, rev in _codes(s.as_py().encode(), k, both_strands):
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(code), i, np.int64)), pa.array(at), pa.array(code), pa.array(rev)], names=["read_id", "pos", "kmer", "rev"])
+                seq = s.as_py().encode()
+                for at, code, rev in _codes(seq, k, both_strands):
+                    sides = [pa.array(side) for side in _beside(seq, at, rev, k)] if beside else []
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(code), i, np.int64)), pa.array(at), pa.array(code), pa.array(rev), *sides], names=[*names, *more])
 
     src = reads.where(F.length("seq") >= k).select(F.col("read_id").cast("long").alias("read_id"), "seq")
-    return src.mapInArrow(lambda batches: _merged(work(batches)), "read_id long, pos int, kmer long, rev boolean")
+    return src.mapInArrow(lambda batches: _merged(work(batches)), "read_id long, pos int, kmer long, rev boolean" + "".join(f", {c} byte" for c in more))
 
 
 def _merged(batches, rows: int = 1 << 17):
@@ -127,8 +142,9 @@ def reliable(counts: DataFrame, lo: int = 2, hi: int | None = 8) -> DataFrame:
 
 
 def build_a(km: DataFrame, counts: DataFrame) -> DataFrame:
-    """Reads x k-mers: ``(row, col, val)`` with position and strand."""
-    return km.join(counts.select("kmer"), "kmer", "left_semi").select(F.col("read_id").alias("row"), F.col("kmer").alias("col"), F.struct("pos", "rev").alias("val"))
+    """Reads x k-mers: ``(row, col, val)`` with position, strand and, where ``km`` has them, the letters beside."""
+    val = F.struct(*[c for c in km.columns if c not in ("read_id", "kmer")])
+    return km.join(counts.select("kmer"), "kmer", "left_semi").select(F.col("read_id").alias("row"), F.col("kmer").alias("col"), val.alias("val"))
 
 
 #: Rows of a k-mer's column that one task multiplies; longer columns are cut into pieces.
@@ -143,32 +159,47 @@ def _pieces(a: DataFrame) -> DataFrame:
 
 
 def products(a: DataFrame) -> DataFrame:
-    """Every two rows u < v of a column with their values: ``(col, u, v, pu, ru, pv, rv)``.
+    """Every two rows u < v of a column with their values: ``(col, u, v, pu, ru, pv, rv)``, and the letters beside if ``a`` has them.
 
     A column of more than ``PIECE_ROWS`` rows is multiplied piece by piece, every piece with every
     one, so no task holds it whole and no product is left out.
     """
     cut = _pieces(a)
     every = F.explode(F.sequence(F.lit(0), F.col("n_pieces") - 1))
-    u = cut.select(F.col("row").alias("u"), "col", F.col("own").alias("i"), every.alias("j"), F.col("val.pos").alias("pu"), F.col("val.rev").alias("ru"))
-    v = cut.select(F.col("row").alias("v"), "col", every.alias("i"), F.col("own").alias("j"), F.col("val.pos").alias("pv"), F.col("val.rev").alias("rv"))
+    value = lambda side: [F.col(f"val.{c}").alias(c[0] + side if c in ("pos", "rev") else f"{c}_{side}") for c in a.schema["val"].dataType.names]
+    u = cut.select(F.col("row").alias("u"), "col", F.col("own").alias("i"), every.alias("j"), *value("u"))
+    v = cut.select(F.col("row").alias("v"), "col", every.alias("i"), F.col("own").alias("j"), *value("v"))
     return u.join(v, ["col", "i", "j"]).where("u < v").drop("i", "j")
 
 
+def can_chain(k: int, lo: int, hi: int | None, sample: int = 1) -> bool:
+    """Whether every k-mer that two reads share is in the matrix, and none is its own reverse complement."""
+    return k % 2 == 1 and lo <= 2 and hi is None and sample == 1
+
+
 def candidates(a: DataFrame, lengths: DataFrame, k: int, min_shared: int = 1, by_diagonal: bool = False) -> DataFrame:
     """A times its transpose, upper triangle: shared k-mers and two seeds of every pair and strand.
 
     Seeds are positions in ``u`` and in ``v`` as it lies along ``u``; the first and the last in
     ``u`` are kept.  With ``by_diagonal`` each offset between the reads is a row of its own.
+
+    Shared k-mers stand in runs, one next to the other in both reads.  Where ``a`` has the letters
+    beside (only with ``can_chain``), a product goes on to the aggregate if a run begins or ends there, and the
+    counts and seeds follow from the ends: the same rows, without one aggregated row per shared k-mer.
     """
-    rev = F.col("ru") != F.col("rv")
-    pairs = products(a).join(lengths.select(F.col("read_id").alias("v"), F.col("len").alias("nv")), "v")
-    pairs = pairs.select("u", "v", rev.alias("rev"), "pu", F.when(rev, F.col("nv") - k - F.col("pv")).otherwise(F.col("pv")).alias("pv"))
+    rev, made, n = F.col("ru") != F.col("rv"), products(a), F.lit(1)
+    if "left" in a.schema["val"].dataType.names:
+        open_ = {side: (F.col(f"{side}_u") != F.col(f"{side}_v")) | (F.col(f"{side}_u") == 4) for side in ("left", "right")}
+        made = made.where(open_["left"] | open_["right"])
+        begins, ends = (F.when(F.col("ru"), open_[x]).otherwise(open_[y]) for x, y in (("right", "left"), ("left", "right")))
+        n = F.when(begins, 1 - F.col("pu")).otherwise(0) + F.when(ends, F.col("pu")).otherwise(0)
+    pairs = made.withColumn("n", n).join(lengths.select(F.col("read_id").alias("v"), F.col("len").alias("nv")), "v")
+    pairs = pairs.select("u", "v", rev.alias("rev"), "pu", F.when(rev, F.col("nv") - k - F.col("pv")).otherwise(F.col("pv")).alias("pv"), "n")
     keys = ["u", "v", "rev"]
     if by_diagonal:
         pairs, keys = pairs.withColumn("diag", F.col("pu") - F.col("pv")), [*keys, "diag"]
     seed = F.struct("pu", "pv")
-    c = pairs.groupBy(*keys).agg(F.count("*").alias("n_shared"), F.min(seed).alias("seed1"), F.max(seed).alias("seed2"))
+    c = pairs.groupBy(*keys).agg(F.sum("n").cast("long").alias("n_shared"), F.min(seed).alias("seed1"), F.max(seed).alias("seed2"))
     if by_diagonal and min_shared > 1:  # a gap moves shared k-mers to another diagonal
         return c.withColumn("all", F.sum("n_shared").over(Window.partitionBy("u", "v", "rev"))).where(F.col("all") >= min_shared).drop("all")
     return c.where(F.col("n_shared") >= min_shared)

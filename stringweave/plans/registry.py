@@ -124,8 +124,8 @@ def kmer_reliable(spark, d):
 _A = f"{_SHOT}, {_km(31)}, ok as (select kmer from km group by kmer having count(*) >= 2), a as (select km.* from km join ok using (kmer))"
 
 
-def _bench_a(spark, d):
-    km = overlap.kmers(bench_reads(spark, d), 31)
+def _bench_a(spark, d, beside=False):
+    km = overlap.kmers(bench_reads(spark, d), 31, beside=beside)
     return overlap.build_a(km, overlap.reliable(overlap.count_kmers(km), 2, None))
 
 
@@ -147,13 +147,13 @@ pr as (
 
 @query(f"with {_PAIR} select u, v, count(*)::bigint as n_shared from pr group by u, v")
 def candidate_pairs(spark, d):
-    c = overlap.candidates(_bench_a(spark, d), bench_reads(spark, d), 31)
+    c = overlap.candidates(_bench_a(spark, d, beside=True), bench_reads(spark, d), 31)
     return c.groupBy("u", "v").agg(F.sum("n_shared").alias("n_shared"))
 
 
 @query(f"with {_PAIR} select u, v, rev, min((pu, pv)::row(a int, b int)).a as pu1, min((pu, pv)::row(a int, b int)).b::int as pv1, max((pu, pv)::row(a int, b int)).a as pu2 from pr group by u, v, rev")
 def candidate_seeds(spark, d):
-    c = overlap.candidates(_bench_a(spark, d), bench_reads(spark, d), 31)
+    c = overlap.candidates(_bench_a(spark, d, beside=True), bench_reads(spark, d), 31)
     return c.select("u", "v", "rev", F.col("seed1.pu").alias("pu1"), F.col("seed1.pv").alias("pv1"), F.col("seed2.pu").alias("pu2"))
 
 

@@ -43,7 +43,7 @@ def all_pairs_baseline(spark, d):
 select u, v, sum(n)::bigint as n_shared from (select x.read_id as u, y.read_id as v, x.rev <> y.rev as r, count(*) as n from a x join a y on x.kmer = y.kmer and x.read_id < y.read_id group by 1, 2, 3 having count(*) >= 20) group by u, v""")
 def candidate_pairs_min_shared(spark, d):
     """Pairs that share twenty k-mers on one relative strand."""
-    c = overlap.candidates(_bench_a(spark, d), bench_reads(spark, d), 31, min_shared=20)
+    c = overlap.candidates(_bench_a(spark, d, beside=True), bench_reads(spark, d), 31, min_shared=20)
     return c.groupBy("u", "v").agg(F.sum("n_shared").alias("n_shared"))
 
 

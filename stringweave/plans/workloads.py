@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from stringweave import assembly, graphs, measures
+from stringweave import assembly, measures
 from stringweave.functions import dna
 from stringweave.operators import overlap
 from stringweave.plans.registry import _ENC, _RC, _SHOT, query, t
@@ -44,10 +44,10 @@ _doc_counts(31)
 
 
 def _w01(spark, d):
-    """Passages have even numbers of chromosomes, turns of conversations odd ones."""
-    b = t(spark, d, "benchmark").select((F.col("item_id").cast("long") * 2).alias("id"), "text")
-    c = t(spark, d, "conversations").select((F.col("conv_id").cast("long") * graphs.TURNS + F.col("turn")).alias("id"), "text")
-    return R.genome(b.unionByName(c.select((F.col("id") * 2 + 1).alias("id"), "text")), "id", "text")
+    """Passages, then the turns of conversations; chromosomes are numbered in that order."""
+    b = t(spark, d, "benchmark").select(F.lit(0).alias("kind"), F.col("item_id").cast("long").alias("id"), F.lit(0).alias("turn"), "text")
+    c = t(spark, d, "conversations").select(F.lit(1).alias("kind"), F.col("conv_id").cast("long").alias("id"), F.col("turn").cast("int").alias("turn"), "text")
+    return R.genome(R.numbered(b.unionByName(c), ["kind", "id", "turn"], "chrom"), "chrom", "text")
 
 
 def _w02(spark, d):
@@ -79,9 +79,9 @@ def _workload(name):
 
     def candidates(spark, d):
         r = Scratch(spark, name).keep(workload_reads(spark, d, name))
-        km = overlap.kmers(r, p.k, p.both_strands)
-        c = overlap.candidates(overlap.build_a(km, overlap.reliable(overlap.count_kmers(km), p.lo, p.hi)), r, p.k)
-        return c.groupBy("u", "v").agg(F.sum("n_shared").alias("n_shared"))
+        km = overlap.kmers(r, p.k, p.both_strands, overlap.can_chain(p.k, p.lo, p.hi))
+        a = Scratch(spark, name).keep(overlap.build_a(km, overlap.reliable(overlap.count_codes(r, p.k, p.both_strands), p.lo, p.hi)))
+        return overlap.candidates(a, r, p.k).groupBy("u", "v").agg(F.sum("n_shared").alias("n_shared"))
 
     def assemble(spark, d):
         store, g = Scratch(spark, name), genome(spark, d)

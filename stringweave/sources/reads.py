@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from stringweave.functions.dna import hex2, revcomp, word16
+from stringweave.session import Scratch
 
 
 def genome(table: DataFrame, key: str, text: str, enc: str = "hex2") -> DataFrame:
@@ -14,6 +15,19 @@ def genome(table: DataFrame, key: str, text: str, enc: str = "hex2") -> DataFram
     return table.where(F.length(text) > 0).select(F.col(key).cast("long").alias("chrom"), made.alias("seq")).withColumn("len", F.length("seq"))
 
 
+def numbered(rows: DataFrame, order: list[str], name: str) -> DataFrame:
+    """Rows with their rank in an order of all, from 0, as ``name``; rows of equal keys share no number.
+
+    Rows are cut into ranges and ranked inside them; only the sizes of the ranges are summed in one place.
+    """
+    store = Scratch(rows.sparkSession, "numbers")
+    cut = store.keep(rows.repartitionByRange(*order).withColumn("__range", F.spark_partition_id()))
+    sizes = cut.groupBy("__range").agg(F.count("*").alias("__n"))
+    before = sizes.select("__range", (F.sum("__n").over(Window.orderBy("__range")) - F.col("__n")).alias("__before"))
+    rank = F.row_number().over(Window.partitionBy("__range").orderBy(*order)) - 1
+    return cut.withColumn(name, rank).join(before, "__range").withColumn(name, F.col(name) + F.col("__before")).drop("__range", "__before")
+
+
 def shotgun(genomes: DataFrame, length: int, stride: int, flip: bool = True, error: float = 0.0) -> DataFrame:
     """Windows of a genome as reads with their truth.
 

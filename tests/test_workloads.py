@@ -5,7 +5,9 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
+from stringweave.operators import overlap
 from stringweave.plans import workloads
+from stringweave.sources import reads as R
 
 SMALL = "/root/testdata/sf0.001"
 
@@ -29,3 +31,32 @@ def test_documents_against_sql(spark, name):
     want = con.sql(f"select {sums} from ({entry.oracle_sql()[name]})").fetchall()[0]
     entry.queries()[name](spark, SMALL).createOrReplaceTempView("sw_test")
     assert tuple(spark.sql(f"select {sums} from sw_test").first()) == tuple(want)
+
+
+@pytest.mark.parametrize("by_diagonal", [False, True])
+def test_ends_of_runs_give_the_candidates_of_all_shared_kmers(spark, by_diagonal):
+    repeat = "ACGTTGCATTGACCAGTACCATG"
+    texts = [repeat * 4 + "GGATCCATTAGACCATNNACGTAGACCATTA", "TTGACCAGATTACA" + repeat * 2, "A" * 40, "T" * 30 + "GATTACA", "CATGGTACTGGTCAATGCAACGT" * 3, "NNNN", "AC", repeat * 4]
+    rows = [(i, s, len(s)) for i, s in enumerate(texts)]
+    g = spark.createDataFrame([(1, "ACGTACCATTGACCAGATTACAGGCATCGAT" * 9, 279)], "chrom long, seq string, len int")
+    r = spark.createDataFrame(rows, "read_id long, seq string, len int").unionByName(R.shotgun(g, 60, 7, error=0.02).select("read_id", "seq", "len"))
+    for k in (5, 11):
+        assert overlap.can_chain(k, 2, None) and not overlap.can_chain(k + 1, 2, None) and not overlap.can_chain(k, 2, 9)
+        both = []
+        for beside in (False, True):
+            km = overlap.kmers(r, k, beside=beside)
+            c = overlap.candidates(overlap.build_a(km, overlap.reliable(overlap.count_kmers(km), 2, None)), r, k, by_diagonal=by_diagonal)
+            both.append(sorted(map(tuple, c.collect())))
+        assert both[0] == both[1] and len(both[0]) > 100
+
+
+def test_numbers_are_ranks(spark):
+    rows = [(i * 7919 % 1000, i % 3, None if i % 5 == 0 else "x") for i in range(500)]
+    got = R.numbered(spark.createDataFrame(rows, "a long, b long, c string").repartition(7), ["b", "a"], "n").collect()
+    assert sorted(r.n for r in got) == list(range(500)) and [(r.b, r.a) for r in sorted(got, key=lambda r: r.n)] == sorted((b, a) for a, b, _ in rows)
+    assert R.numbered(spark.createDataFrame([], "a long"), ["a"], "n").count() == 0
+
+
+def test_reads_of_a_workload_have_numbers_of_their_own(spark):
+    r = workloads.workload_reads(spark, SMALL, "w01").select("read_id").collect()
+    assert len({x.read_id for x in r}) == len(r) and all(x.read_id >= 0 for x in r)
