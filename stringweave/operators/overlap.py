@@ -472,10 +472,20 @@ def _overhangs():
     return F.col("bu"), F.col("nu") - F.col("eu"), lv, rv
 
 
+def _kinds(fuzz: int):
+    """``(u contained, v contained, u before v, v before u)`` along ``u``; all false for an internal match.
+
+    An alignment may end up to ``fuzz`` bases before the end that it should reach, so on each side the
+    shorter overhang is at most that.  A read is contained if on no side it reaches beyond the other.
+    """
+    lu, ru, lv, rv = _overhangs()
+    whole = (F.least(lu, lv) <= fuzz) & (F.least(ru, rv) <= fuzz)
+    return whole & (lu <= lv) & (ru <= rv), whole & (lu >= lv) & (ru >= rv), whole & (lu > lv) & (ru < rv), whole & (lu < lv) & (ru > rv)
+
+
 def contained(aln: DataFrame, fuzz: int = 0) -> DataFrame:
     """Ids of reads whose whole span lies in another; of equal reads all but the smallest id."""
-    lu, ru, lv, rv = _overhangs()
-    u_in, v_in = (lu <= fuzz) & (ru <= fuzz), (lv <= fuzz) & (rv <= fuzz)
+    u_in, v_in, _, _ = _kinds(fuzz)
     gone = F.when(v_in & (~u_in | (F.col("v") > F.col("u"))), F.col("v")).when(u_in, F.col("u"))
     return aln.select(gone.alias("read_id")).where("read_id is not null").distinct()
 
@@ -493,14 +503,12 @@ def classify(aln: DataFrame, fuzz: int = 0) -> DataFrame:
     """
     both = aln.select(*_swapped(aln).columns).unionByName(_swapped(aln))
     lu, ru, lv, rv = _overhangs()
-    r = F.col("rev")
-    inside = ((lu <= fuzz) & (ru <= fuzz)) | ((lv <= fuzz) & (rv <= fuzz))
-    fore, back = ~inside & (ru <= fuzz) & (lv <= fuzz), ~inside & (lu <= fuzz) & (rv <= fuzz)
+    r, (_, _, fore, back) = F.col("rev"), _kinds(fuzz)
     pick = lambda f, b: F.when(fore, f).when(back, b)
     e = both.select(
         "u", "v", "rev", "score", pick(F.lit(1), F.lit(0)).alias("u_end"), pick(F.when(r, 1).otherwise(0), F.when(r, 0).otherwise(1)).alias("v_end"),
         pick(F.col("bu") - 1, F.col("eu")).alias("pre"), pick(F.when(r, F.col("ev") - 1).otherwise(F.col("bv")), F.when(r, F.col("bv")).otherwise(F.col("ev") - 1)).alias("post"),
-        pick(rv, lv).alias("suffix"),
+        pick(rv - ru, lv - lu).alias("suffix"),
     )
     return e.where("u_end is not null")
 

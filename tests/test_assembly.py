@@ -208,3 +208,22 @@ def test_overlap_beside_a_repeat_before_it(spark):
     for method in ("exact", "ungapped", "xdrop"):
         aln = assembly.string_graph(r, assembly.Profile.low_error(method=method, min_score=60))[0].collect()
         assert [(a.bu, a.eu, a.bv, a.ev) for a in aln] == [(91, 181, 0, 90)], method
+
+
+def test_reads_closer_than_the_fuzz_are_not_contained(spark):
+    """Overhangs (left, right) of u and v: only a read that reaches beyond the other on no side goes."""
+    cases = {(5, 0, 0, 5): "fore", (0, 5, 5, 0): "back", (7, 2, 2, 9): "fore", (3, 0, 3, 8): 1, (0, 0, 0, 0): 2, (4, 6, 1, 2): 2, (30, 0, 25, 5): "none", (0, 30, 4, 30): "none", (0, 15, 4, 15): 1}
+    rows = [(1, 2, False, 50 + a + b, 50 + c + d, 40, a, 50 + a, c, 50 + c) for a, b, c, d in cases]
+    for row, want in zip(rows, cases.values()):
+        aln = spark.createDataFrame([row], overlap._ALIGNMENT)
+        gone, edges = [r.read_id for r in overlap.contained(aln, 20).collect()], overlap.classify(aln, 20).where("u = 1").collect()
+        assert gone == ([want] if isinstance(want, int) else []), row
+        assert [(e.u_end, e.v_end) for e in edges] == {"fore": [(1, 0)], "back": [(0, 1)]}.get(want, []), row
+        assert all(e.suffix == abs((row[4] - row[9]) - (row[3] - row[7]) if want == "fore" else row[8] - row[6]) for e in edges)
+
+
+def test_noisy_reads_denser_than_the_fuzz_are_joined(spark):
+    g = R.genome(spark.createDataFrame([(1, "".join(random.Random(3).choices("abcdefghijklmnopqrstuvwxyz ", k=700)))], "id long, text string"), "id", "text")
+    r = R.shotgun(g, 200, 10, error=0.005)
+    got = assembly.assemble(r, assembly.Profile.low_error(method="xdrop", fuzz=20, min_score=60)).contigs.collect()
+    assert len(got) == 1 and abs(got[0].len - 1400) <= 40
