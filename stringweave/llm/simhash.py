@@ -39,6 +39,8 @@ PIVOTS = 32
 #: Fingerprints of one bucket compared in one piece; a larger bucket is cut into pieces
 #: of this size and every two pieces meet in a group of their own.
 PIECE = 2048
+#: Pairs that a task holds at once.
+SLICE = 1 << 18
 
 
 def pivots(n: int = PIVOTS) -> np.ndarray:
@@ -91,11 +93,11 @@ def band_masks(n: int, blocks: int | None = None) -> list[int]:
     return [sum(block[i] for i in kept) for kept in combinations(range(parts), parts - RADIUS)]
 
 
-def close_pairs(left: np.ndarray, right: np.ndarray, table_l: np.ndarray, table_r: np.ndarray, same: bool, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray, int, int]:
-    """Positions of the close pairs of two arrays of fingerprints, by their pivot tables.
+def pair_slices(left: np.ndarray, right: np.ndarray, table_l: np.ndarray, table_r: np.ndarray, same: bool, radius: int = RADIUS) -> Iterator[tuple[np.ndarray, np.ndarray, int, int]]:
+    """Positions of the close pairs of two arrays of fingerprints, by their pivot tables, in slices.
 
-    Also returns how many pairs the window of the first coordinate formed, and how many the whole
-    table left to be verified.  With ``same`` both arrays are one, and each pair is formed once.
+    Each slice also tells how many pairs the window of the first coordinate formed, and how many the
+    whole table left to be verified.  With ``same`` both arrays are one, and each pair is formed once.
     """
     by = np.argsort(table_r[:, 0], kind="stable")
     line = table_r[by, 0].astype(np.int16)
@@ -107,9 +109,9 @@ def close_pairs(left: np.ndarray, right: np.ndarray, table_l: np.ndarray, table_
         first, until = np.searchsorted(line, at - radius, "left"), np.searchsorted(line, at + radius, "right")
     room = np.maximum(until - first, 0)
     upto = np.concatenate(([0], np.cumsum(room)))
-    out_i, out_j, formed, kept, a = [], [], int(upto[-1]), 0, 0
+    a = 0
     while a < len(own):
-        b = max(a + 1, int(np.searchsorted(upto, upto[a] + 2_000_000, "right")) - 1)
+        b = max(a + 1, int(np.searchsorted(upto, upto[a] + SLICE, "right")) - 1)
         n = room[a:b]
         i, j = np.repeat(own[a:b], n), by[np.arange(upto[b] - upto[a]) + np.repeat(first[a:b] - upto[a:b] + upto[a], n)]
         for p in range(1, table_l.shape[1]):
@@ -117,26 +119,34 @@ def close_pairs(left: np.ndarray, right: np.ndarray, table_l: np.ndarray, table_
                 break
             ok = np.abs(table_l[i, p].astype(np.int16) - table_r[j, p]) <= radius
             i, j = i[ok], j[ok]
-        kept += len(i)
         ok = np.bitwise_count(left[i] ^ right[j]) <= radius
-        out_i.append(i[ok])
-        out_j.append(j[ok])
+        yield i[ok], j[ok], int(upto[b] - upto[a]), len(i)
         a = b
-    return np.concatenate(out_i or [np.empty(0, np.int64)]), np.concatenate(out_j or [np.empty(0, np.int64)]), formed, kept
 
 
-def forest(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-    """The smallest position reachable from each of ``n`` positions over the pairs."""
-    root = np.arange(n)
+def close_pairs(left: np.ndarray, right: np.ndarray, table_l: np.ndarray, table_r: np.ndarray, same: bool, radius: int = RADIUS) -> tuple[np.ndarray, np.ndarray, int, int]:
+    """All slices of ``pair_slices`` in one."""
+    i, j, formed, kept = zip((np.empty(0, np.int64), np.empty(0, np.int64), 0, 0), *pair_slices(left, right, table_l, table_r, same, radius))
+    return np.concatenate(i), np.concatenate(j), sum(formed), sum(kept)
+
+
+def join_trees(root: np.ndarray, i: np.ndarray, j: np.ndarray) -> None:
+    """Joins the trees of the pairs' ends in ``root``, which holds the smallest position reachable from each."""
     while len(i):
         a, b = root[i], root[j]
         low = np.minimum(a, b)
         np.minimum.at(root, a, low)
         np.minimum.at(root, b, low)
-        while not np.array_equal(root, root[root]):
-            root = root[root]
+        while not np.array_equal(root, above := root[root]):
+            root[:] = above
         left = root[i] != root[j]
         i, j = i[left], j[left]
+
+
+def forest(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """The smallest position reachable from each of ``n`` positions over the pairs."""
+    root = np.arange(n)
+    join_trees(root, i, j)
     return root
 
 
@@ -151,13 +161,17 @@ def _judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     def links(fps: np.ndarray, side: np.ndarray) -> tuple[np.ndarray, np.ndarray, tuple[int, int, int]]:
         tables = np.bitwise_count(fps[:, None] ^ refs).astype(np.int8)
         if side.all() or not side.any():
-            i, j, formed, kept = close_pairs(fps, fps, tables, tables, True)
+            li = ri = np.arange(len(fps))
+            found = pair_slices(fps, fps, tables, tables, True)
             pairs = len(fps) * (len(fps) - 1) // 2
         else:
             li, ri = np.nonzero(side == 0)[0], np.nonzero(side == 1)[0]
-            i, j, formed, kept = close_pairs(fps[li], fps[ri], tables[li], tables[ri], False)
-            i, j, pairs = li[i], ri[j], len(li) * len(ri)
-        root = forest(len(fps), i, j)
+            found = pair_slices(fps[li], fps[ri], tables[li], tables[ri], False)
+            pairs = len(li) * len(ri)
+        root, formed, kept = np.arange(len(fps)), 0, 0
+        for i, j, made, left in found:
+            join_trees(root, li[i], ri[j])
+            formed, kept = formed + made, kept + left
         moved = np.nonzero(root != np.arange(len(fps)))[0]
         return fps[root[moved]], fps[moved], (pairs, formed, kept)
 
