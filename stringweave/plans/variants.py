@@ -191,7 +191,13 @@ def lpt_sweep(spark, d):
     return spark.createDataFrame(rows, "owners int, makespan long")
 
 
-@query()
+@query(f"""with recursive s as ({_CUST}), z as (select sum(n)::bigint as total, max(n) as top from s), k as (select unnest({_SWEEP}) as p),
+o as (select 'largest first' as rule, n, row_number() over (order by n desc, id) as i from s union all select 'as they come', n, row_number() over (order by id) from s),
+r as (select rule, p::int as p, 0::bigint as i, list_transform(range(p), lambda x: 0::bigint) as loads from k, (select distinct rule from o)
+  union all select r.rule, r.p, o.i, list_transform(loads, lambda x, k: case when k = list_position(loads, list_min(loads)) then x + o.n else x end) from r join o on o.i = r.i + 1 and o.rule = r.rule),
+m as (select rule, p, list_max(arg_max(loads, i))::bigint as load from r group by 1, 2
+  union all select 'hash', p::int, max(load) from (select p, id % p as owner, sum(n)::bigint as load from s, k group by 1, 2) group by p)
+select rule, p as owners, load / greatest(top, (total + p - 1) // p) as ratio, case rule when 'largest first' then (4 * p - 1) / (3 * p) when 'as they come' then 2 - 1 / p end as bound from m, z""")
 def lpt_ratio(spark, d):
     """Makespan over the lower bound (the mean or the largest item) beside the guarantee, by rule and owners."""
     s, rows = Scratch(spark, "ratio").keep(_cust(spark, d)), []
