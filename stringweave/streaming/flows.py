@@ -7,15 +7,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupStateTimeout
 
-from stringweave.operators.overlap import count_kmers, kmers
+from stringweave.operators.overlap import count_kmers, kmers, partial_codes
 from stringweave.session import Scratch
 from stringweave.sources.reads import genome, shotgun
 
 
 def stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """A given table as a file stream."""
-    schema = spark.read.parquet(f"{sf_dir}/{name}.parquet").schema
-    return spark.readStream.schema(schema).option("pathGlobFilter", f"{name}.parquet").option("maxFilesPerTrigger", 1).parquet(sf_dir)
+    """A given table, one file or a folder of files, as a file stream; a folder comes in batches of some megabytes."""
+    table = f"{sf_dir}/{name}.parquet"
+    come = spark.readStream.schema(spark.read.parquet(table).schema)
+    path = spark._jvm.org.apache.hadoop.fs.Path(table)
+    if path.getFileSystem(spark._jsparkSession.sessionState().newHadoopConf()).getFileStatus(path).isDirectory():
+        return come.option("maxBytesPerTrigger", 128 << 20).parquet(table)
+    return come.option("maxFilesPerTrigger", 1).option("pathGlobFilter", f"{name}.parquet").parquet(sf_dir)
 
 
 def drain(df: DataFrame, mode: str) -> DataFrame:
@@ -98,7 +102,7 @@ def interval_join(spark: SparkSession, sf_dir: str, hours: int = 24) -> DataFram
 def static_candidates(spark: SparkSession, sf_dir: str, k: int = 31) -> DataFrame:
     """Arriving reads against fixed k-mers: shared words per pair of chromosomes."""
     fixed = genome(spark.read.parquet(f"{sf_dir}/benchmark.parquet"), "item_id", "text").withColumnRenamed("chrom", "read_id")
-    known = kmers(fixed, k, both_strands=False).select(F.col("read_id").alias("item"), "kmer")
-    come = genome(stream(spark, sf_dir, "documents"), "doc_id", "text").withColumnRenamed("chrom", "read_id")
-    hits = kmers(come, k, both_strands=False).join(known, "kmer").groupBy("item").agg(F.count("*").alias("shared"))
+    known = Scratch(spark, "fixed").keep(kmers(fixed, k, both_strands=False).select(F.col("read_id").alias("item"), "kmer"))
+    come = genome(stream(spark, sf_dir, "documents"), "doc_id", "text")
+    hits = partial_codes(come, k, both_strands=False).join(known, "kmer").groupBy("item").agg(F.sum("n").alias("shared"))
     return drain(hits, "complete")

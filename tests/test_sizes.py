@@ -19,3 +19,16 @@ def test_compressed_columns_of_a_long_chain_in_linear_time(spark):
     jc, ir = np.array(got[3].jc), np.array(got[3].ir)
     assert got[4].jc == [0, 1] and got[4].ir == [0] and len(jc) == n + 1 and jc[-1] == len(ir) == 2 * n - 2
     assert ir[:3].tolist() == [1, 0, 2] and ir[jc[1000] : jc[1001]].tolist() == [999, 1001]
+
+
+def test_streams_read_tables_that_are_folders(spark, data, tmp_path):
+    from stringweave.streaming import flows
+
+    rows = {}
+    for name in ("documents", "benchmark"):
+        table = spark.read.parquet(f"{data}/{name}.parquet")
+        table.repartition(3).write.parquet(f"{tmp_path}/{name}.parquet")
+        rows[name] = table.count()
+    assert flows.drain(flows.stream(spark, str(tmp_path), "documents").select("doc_id"), "append").count() == rows["documents"]
+    whole, parts = (sorted(map(tuple, flows.static_candidates(spark, d).collect())) for d in (data, str(tmp_path)))
+    assert whole == parts and whole
