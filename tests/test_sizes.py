@@ -5,7 +5,10 @@ import time
 import numpy as np
 from pyspark.sql import functions as F
 
-from stringweave.operators import contigs
+from stringweave import assembly
+from stringweave.functions import dna
+from stringweave.operators import contigs, overlap
+from stringweave.sources import reads as R
 
 
 def test_compressed_columns_of_a_long_chain_in_linear_time(spark):
@@ -32,3 +35,23 @@ def test_streams_read_tables_that_are_folders(spark, data, tmp_path):
     assert flows.drain(flows.stream(spark, str(tmp_path), "documents").select("doc_id"), "append").count() == rows["documents"]
     whole, parts = (sorted(map(tuple, flows.static_candidates(spark, d).collect())) for d in (data, str(tmp_path)))
     assert whole == parts and whole
+
+
+def test_overlaps_by_a_repeat_that_both_ends_beat_go(spark):
+    rng = np.random.default_rng(5)
+    cut = lambda n: "".join(rng.choice(list("ACGT"), n))
+    rows = []
+    for n in (45, 84):  # shared by the end of a passage's read 300-400 and the beginning of another one's read 250-350
+        shared = cut(n)
+        rows += [cut(400 - n) + shared + cut(140), cut(250) + shared + cut(250 - n)]
+    g = spark.createDataFrame([(i, s, len(s)) for i, s in enumerate(rows)], "chrom long, seq string, len int")
+    c = assembly.assemble(R.shotgun(g, 100, 25)).contigs.select(dna.canonical("seq").alias("seq"))
+    assert sorted(r.seq for r in c.collect()) == sorted(r.seq for r in g.select(dna.canonical("seq").alias("seq")).collect())
+
+
+def test_ties_and_edges_best_at_one_end_stay(spark):
+    both = lambda u, v, s: [(u, v, 1, 0, s), (v, u, 0, 1, s)]
+    rows = both(1, 2, 90) + both(3, 4, 80) + both(1, 4, 50) + both(5, 6, 70) + both(5, 7, 70) + both(1, 8, 40)
+    e = spark.createDataFrame(rows, "u long, v long, u_end int, v_end int, score int")
+    left = {(r.u, r.v) for r in overlap.drop_weaker(e).collect()}
+    assert left == {(u, v) for u, v, *_ in rows} - {(1, 4), (4, 1)}
