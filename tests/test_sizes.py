@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from stringweave import assembly
 from stringweave.functions import dna
-from stringweave.operators import contigs, overlap
+from stringweave.operators import contigs, matrix, overlap
 from stringweave.sources import reads as R
 
 
@@ -55,3 +55,22 @@ def test_ties_and_edges_best_at_one_end_stay(spark):
     e = spark.createDataFrame(rows, "u long, v long, u_end int, v_end int, score int")
     left = {(r.u, r.v) for r in overlap.drop_weaker(e).collect()}
     assert left == {(u, v) for u, v, *_ in rows} - {(1, 4), (4, 1)}
+
+
+def test_products_in_tiles_equal_joined_ones_and_shuffle_no_product(spark, monkeypatch):
+    monkeypatch.setattr(matrix, "TILE", 64)
+    rng = np.random.default_rng(3)
+    e = [(int(r), int(k), int(v)) for r, k, v in zip(rng.integers(0, 200, 3000), rng.integers(0, 9, 3000), rng.integers(-9, 9, 3000))]
+    a = spark.createDataFrame([*e, (7, None, 3)], "row long, col long, val long")
+    dense = a.groupBy("row", "col").agg(F.max("val").alias("val"))
+    for m in (a, dense):  # elements given more than once, and once
+        for sr in (matrix.PLUS_TIMES, matrix.MIN_PLUS, matrix.MAX_TIMES, matrix.COUNT, matrix.OR_AND):
+            one = matrix.apply(m, lambda v: v > 3) if sr is matrix.OR_AND else m
+            x, y = one.select("row", F.col("col").alias("k"), F.col("val").alias("x")), one.select(F.col("col").alias("k"), F.col("row").alias("col"), F.col("val").alias("y"))
+            for upper in (False, True):
+                got = matrix.spgemm(one, matrix.transpose(one), sr, upper)
+                assert "CoGroup" in got._jdf.queryExecution().toString()
+                assert got.dtypes == matrix._joined(x, y, sr, upper).dtypes
+                assert sorted(map(tuple, got.collect())) == sorted(map(tuple, matrix._joined(x, y, sr, upper).collect()))
+    lone = a.withColumn("val", F.when(F.col("val") > 0, F.col("val")))
+    assert "CoGroup" not in matrix.spgemm(lone, matrix.transpose(lone))._jdf.queryExecution().toString()
