@@ -74,3 +74,12 @@ def test_products_in_tiles_equal_joined_ones_and_shuffle_no_product(spark, monke
                 assert sorted(map(tuple, got.collect())) == sorted(map(tuple, matrix._joined(x, y, sr, upper).collect()))
     lone = a.withColumn("val", F.when(F.col("val") > 0, F.col("val")))
     assert "CoGroup" not in matrix.spgemm(lone, matrix.transpose(lone))._jdf.queryExecution().toString()
+
+
+def test_example_tree_over_orders_of_a_customer(spark, tmp_path):
+    from stringweave.plans import registry
+
+    rows = [(i, 5) for i in range(1, 9)] + [(i, 6) for i in range(11, 17)] + [(20, 7)]
+    spark.createDataFrame(rows, "o_orderkey long, o_custkey long").write.parquet(f"{tmp_path}/orders.parquet")
+    got = sorted(map(tuple, registry.QUERIES["branch_example"](spark, str(tmp_path)).collect()))
+    assert got == [(1, 1), (2, 1), (4, 4), (5, 4), (6, 4), (7, 7), (8, 7)] + [(i, 11) for i in range(11, 17)]
