@@ -83,3 +83,19 @@ def test_example_tree_over_orders_of_a_customer(spark, tmp_path):
     spark.createDataFrame(rows, "o_orderkey long, o_custkey long").write.parquet(f"{tmp_path}/orders.parquet")
     got = sorted(map(tuple, registry.QUERIES["branch_example"](spark, str(tmp_path)).collect()))
     assert got == [(1, 1), (2, 1), (4, 4), (5, 4), (6, 4), (7, 7), (8, 7)] + [(i, 11) for i in range(11, 17)]
+
+
+def test_first_order_of_a_customer_does_not_hang_on_the_order_of_shuffled_rows(spark, data):
+    import re
+
+    import duckdb
+
+    import __spark_entry__ as entry
+
+    got = entry.queries()["join_lateral_top1"](spark, data)
+    windows = re.findall(r"row_number\(\) windowspecdefinition\(([^)]*)", got._jdf.queryExecution().optimizedPlan().toString())
+    assert windows and all("o_totalprice" in w and "o_orderkey" in w for w in windows)
+    con = duckdb.connect()
+    for name in ("customer", "orders"):
+        con.sql(f"create view {name} as select * from '{data}/{name}.parquet'")
+    assert sorted(map(tuple, got.collect())) == sorted(con.sql(entry.oracle_sql()["join_lateral_top1"]).fetchall())
