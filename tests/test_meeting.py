@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
+from stringweave import assembly
 from stringweave.operators import meeting, overlap
 from stringweave.session import shared_dir
 from stringweave.sources import reads as R
@@ -58,3 +59,9 @@ def test_candidates_write_no_matrix(spark):
     before = kept()
     assert entry.queries()["candidates_w01"](spark, SMALL).count() == 436_125
     assert kept() - before < 1_000_000
+
+
+def test_the_string_graph_needs_no_matrix(odd_reads):
+    took: dict = {}
+    aln, _ = assembly.string_graph(odd_reads.where("length(seq) >= 31"), assembly.Profile.low_error(reduce=False), took)
+    assert aln.count() > 0 and "DetectOverlap" in took and "CreateSpMat" not in took
