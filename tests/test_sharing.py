@@ -1,5 +1,7 @@
 """Classes of stretches stand for the pairs of reads that share k-mers, all of them and no others."""
 
+import tracemalloc
+
 import numpy as np
 import pytest
 
@@ -64,3 +66,15 @@ def test_stretches_of_one_mix_stand_together():
     none = np.zeros(len(left), np.uint32)
     order, at = meeting._in_order(none, left, none.astype(np.uint64), none.astype(np.uint16))
     assert np.array_equal(np.sort(left[order[at]]), np.unique(few)) and np.array_equal(np.sort(order), np.arange(len(left)))
+
+
+def test_rows_of_a_part_are_taken_one_by_one():
+    import pyarrow as pa
+
+    blob = b"x" * (1 << 20)
+    batch = pa.RecordBatch.from_arrays([pa.array([1, 1, 2, 3, 3] + list(range(4, 60))), pa.array([blob] * 61, pa.binary())], names=["part", "b"])
+    tracemalloc.start()
+    sizes = [len(held) for held in meeting._by_part([batch])]
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert sizes == [2, 1, 2] + [1] * 56 and most < 8 << 20
