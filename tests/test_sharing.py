@@ -97,7 +97,7 @@ def packed_stretches(n, seed=3):
 
 def test_stretches_come_back_as_they_were_packed():
     held = packed_stretches(700)
-    rows = sharing._packed(held, 7)
+    rows = sharing._packed(list(held), 7)
     assert rows.column(0).to_pylist() == list(range(7))
     got = []
     for blob in zip(*(rows.column(i).to_pylist() for i in range(1, 6))):
@@ -108,7 +108,7 @@ def test_stretches_come_back_as_they_were_packed():
 
 def test_stretches_with_errors_take_little_room():
     held = packed_stretches(4000)
-    rows, n = sharing._packed(held, 64), sum(len(h[0]) for h in held)
+    rows, n = sharing._packed(list(held), 64), sum(len(h[0]) for h in held)
     assert sum(len(b) for i in (1, 2) for b in rows.column(i).to_pylist()) < 2.9 * n  # 3.3 with bases in whole bytes
 
 
@@ -132,6 +132,6 @@ def test_noisy_stretches_take_little_room():
     for read, _, _, _, z, left, right, shape in meeting._chunks(batch, 17, 11):
         shape = shape & np.uint16(1023)
         held.append((read, z, sharing._cut(left, shape & np.uint16(31)), sharing._cut(right, shape >> np.uint16(5)), shape))
-    rows, n = sharing._packed(held, 16), sum(len(h[0]) for h in held)
+    rows, n = sharing._packed(list(held), 16), sum(len(h[0]) for h in held)
     taken = sum(len(b) for i in (1, 2) for b in rows.column(i).to_pylist()) / n
     assert taken < 6.8, taken  # 7.4 with bases in whole bytes
